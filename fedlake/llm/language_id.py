@@ -326,3 +326,24 @@ def train_and_predict(docs: DataFrame, pieces: list[str], rounds: int = 2) -> Da
     """Learn from documents that aren't held out, predict all."""
     model = fit(docs.where(~held_out(F.col("doc_id"))).select("text", "lang"), pieces, rounds)
     return predict(docs, model)
+
+
+def select(docs: DataFrame, model: LanguageModel | None, least: float) -> DataFrame:
+    """The documents whose language is found with at least ``least`` probability, ``lang`` set to it; one pass without a join."""
+    if model is None:
+        return docs.limit(0)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index("lang")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scorer = TextScorer(shared.value)
+        names = np.array(shared.value.languages, object)
+        for part in slices(batches, "text"):
+            loglik, n = scorer.scores(strings(part, "text"))
+            sure = 1 / np.exp(loglik - loglik.max(axis=1)[:, None]).sum(axis=1)
+            kept = (n > 0) & (sure >= least)
+            columns = list(part.columns)
+            columns[at] = pa.array(names[loglik.argmax(axis=1)].tolist(), part.schema.field(at).type)
+            yield pa.RecordBatch.from_arrays(columns, schema=part.schema).filter(pa.array(kept))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -8,7 +8,7 @@ from functools import lru_cache
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedlake.llm import chat_format, language_id, license_scan, mixing, piece_codec, quality_classifier, quality_rules, simhash, vector_join
+from fedlake.llm import chat_format, language_id, license_scan, lm_scoring, mixing, piece_codec, quality_classifier, quality_rules, simhash, vector_join
 from fedlake.llm.runtime import table
 
 VOCABULARY = "piece_bpe_32k.model"
@@ -23,6 +23,10 @@ def vocabulary(path: str | None = None) -> piece_codec.Vocabulary:
     return piece_codec.Vocabulary.load(path)
 
 
+def op1_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.train_and_score(table(spark, sf_dir, "documents"))
+
+
 def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_documents(table(spark, sf_dir, "documents"))
 
@@ -62,6 +66,7 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_lm_scoring": op1_lm_scoring,
         "op2_license_scan": op2_license_scan,
         "op3_language_id": op3_language_id,
         "op4_piece_codec": op4_piece_codec,

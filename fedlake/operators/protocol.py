@@ -23,3 +23,10 @@ def split_rows(rows: DataFrame) -> DataFrame:
 
 
 ROW_SPLIT_SQL = f"CASE WHEN row_number() OVER (PARTITION BY client_id ORDER BY {uniform_sql('row-split', 'client_id', 'item_id')}, item_id) % 2 = 1 THEN 'tune' ELSE 'rank' END"
+
+
+def shadow_split(clients: DataFrame, share: float = 1 / 6) -> DataFrame:
+    """part: shadow or private; used: 80 % of shadow and half of private clients train their model."""
+    part = uniform("shadow", F.col("client_id")) < share
+    used = uniform("used", F.col("client_id"))
+    return clients.select("client_id", F.when(part, "shadow").otherwise("private").alias("part"), F.when(part, used < 0.8).otherwise(used < 0.5).alias("used"))

@@ -9,6 +9,7 @@ from fedlake.functions.hashing import uniform, uniform_sql
 from fedlake.functions.vectors import sigmoid
 from fedlake.operators import local_models as M
 from fedlake.operators import protocol, sampling
+from fedlake.operators.graph import neighbours
 from fedlake.queries.data import DRAW_SQL, P_SQL, ROUND, customers
 from fedlake.queries.registry import query
 from fedlake.sources import universes as U
@@ -199,14 +200,6 @@ e AS (SELECT client_id, lead(client_id) OVER w AS a, lead(client_id, 2) OVER w A
 nb AS (SELECT client_id, neighbour, count(*) AS common FROM (SELECT client_id, a AS neighbour FROM e UNION ALL SELECT client_id, b FROM e) WHERE neighbour IS NOT NULL GROUP BY 1, 2)"""
 
 
-def neighbours(interactions, per_item: int = 2):
-    """Co-users met through a keyed hash of an item: the next ones in a hashed order of its users, so a popular item adds as few per user as a rare one."""
-    keyed = interactions.select("client_id", "item_id", F.md5(F.concat(F.lit("k#"), F.col("item_id").cast("string")).cast("binary")).alias("hid"))
-    order = Window.partitionBy("hid").orderBy(uniform("ring", F.col("client_id"), F.col("item_id")), "client_id")
-    met = keyed.select("client_id", F.array(*[F.lead("client_id", k).over(order) for k in range(1, per_item + 1)]).alias("n"))
-    return met.select("client_id", F.explode("n").alias("neighbour")).where("neighbour is not null").groupBy("client_id", "neighbour").agg(F.count("*").alias("common"))
-
-
 @query("graph_neighbours", f"WITH {RING_SQL} SELECT client_id, neighbour, common FROM nb")
 def graph_neighbours(spark, d):
     return neighbours(U.purchases(spark, d))

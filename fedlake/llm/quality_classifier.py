@@ -26,7 +26,6 @@ passes the tail; an empty table gives no rows; extra columns are ignored by
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 from zlib import crc32
@@ -36,36 +35,46 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from fedlake.llm.runtime import WordCache, slices, strings
+from fedlake.llm.runtime import CACHE_WORDS, WordCache, slices, strings
 
 BITS = 22
-SAMPLE_ROWS = 16_000
+SAMPLE_ROWS = 12_000
 MIN_ROWS = 8
 MIN_Z = 6.0
 GRADES = 3
 #: Selection: probability of the top grade.
 TAIL_GRADE = 2
 TAIL = 0.5
-L2 = 2e-4
+L2 = 5e-5
 PASSES = 300
-_BODY = re.compile(r"^(\W*)(.*?)(\W*)$", re.S)
+#: Rows whose buckets are counted at a time.
+FIT_ROWS = 1000
+
+
+def _is_word(c: str) -> bool:
+    return c.isalnum() or c == "_"
 
 
 def token_buckets(token: str, bits: int = BITS) -> tuple[int, ...]:
     """Feature buckets of one whitespace token."""
-    front, body, back = _BODY.match(token).groups()
-    names = []
-    if body:
+    start, end = 0, len(token)
+    while start < end and not _is_word(token[start]):
+        start += 1
+    while end > start and not _is_word(token[end - 1]):
+        end -= 1
+    shift, names = 32 - bits, []
+    if start < end:
+        body = token[start:end]
         lower = body.lower()
         names.append("w:" + lower)
         names += [f"p{k}:{lower[:k]}" for k in (4, 5, 6) if len(lower) > k]
         if len(body) > 1 and body.isupper():
             names.append("capitals")
-    if front:
-        names.append("f:" + front)
-    if back:
-        names.append("b:" + back)
-    return tuple(crc32(n.encode()) >> (32 - bits) for n in names)
+    if start:
+        names.append("f:" + token[:start])
+    if end < len(token):
+        names.append("b:" + token[end:])
+    return tuple([crc32(n.encode()) >> shift for n in names])
 
 
 def variety_bucket(n_words: int, n_distinct: int, bits: int = BITS) -> int:
@@ -74,15 +83,15 @@ def variety_bucket(n_words: int, n_distinct: int, bits: int = BITS) -> int:
 
 
 class Featurizer:
-    """Distinct buckets of texts for one Python worker; with ``wanted``, only buckets marked there."""
+    """Distinct buckets of texts for one Python worker; with ``wanted``, only those buckets."""
 
-    def __init__(self, bits: int = BITS, wanted: np.ndarray | None = None):
+    def __init__(self, bits: int = BITS, wanted: set[int] | None = None):
         self.bits, self.wanted = bits, wanted
-        self.cache = WordCache()
+        self.cache = WordCache(3 * CACHE_WORDS)
 
     def _buckets(self, token: str) -> tuple[int, ...]:
         found = token_buckets(token, self.bits)
-        return found if self.wanted is None else tuple(b for b in found if self.wanted[b])
+        return found if self.wanted is None else tuple(self.wanted.intersection(found))
 
     def __call__(self, text: str) -> np.ndarray:
         words = text.split()
@@ -115,17 +124,15 @@ class OrdinalModel:
         return 1 / (1 + np.exp(-np.clip(score[:, None] - self.thresholds[None, :], -50, 50)))
 
 
-def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int, bits: int = BITS, l2: float = L2, passes: int = PASSES, min_rows: int = MIN_ROWS, min_z: float = MIN_Z) -> OrdinalModel:
+def fit_ordinal(flat: np.ndarray, sizes: np.ndarray, grades: np.ndarray, n_grades: int, bits: int = BITS, l2: float = L2, passes: int = PASSES, min_rows: int = MIN_ROWS, min_z: float = MIN_Z) -> OrdinalModel:
     """Maximum likelihood of the cumulative logits with a ridge, by accelerated full-batch gradients.
 
-    Thresholds are a first value and positive gaps (exponentials), which keeps
-    their order. Rare grades weigh up to the geometric mean of equal and
+    flat, sizes: buckets of all rows one after the other, and how many each row
+    has. Thresholds are a first value and positive gaps (exponentials), which
+    keeps their order. Rare grades weigh up to the geometric mean of equal and
     natural weights.
     """
-    flat = np.concatenate(rows) if rows else np.zeros(0, np.int64)
-    used, place, count = np.unique(flat, return_inverse=True, return_counts=True)
-    owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-    n = len(rows)
+    n, ends = len(sizes), np.cumsum(sizes)
     share = np.bincount(grades, minlength=n_grades) / max(1, n)
     if n == 0 or (share > 0).sum() < 2:
         only = int(grades[0]) if n else n_grades - 1
@@ -138,11 +145,16 @@ def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int, bits:
     pull = (below[grades] + below[grades + 1]) - 1  # score of the latent at the model of thresholds alone
     pull -= np.average(pull, weights=weight)
     scaled = pull * weight * n
-    z = np.bincount(place, scaled[owner], len(used)) / np.sqrt(np.maximum(count * scaled.var(), 1e-12))
-    frequent = (count >= min_rows) & (np.abs(z) >= min_z)
-    p = int(frequent.sum())
-    hit = frequent[place]
-    col, owner = (np.cumsum(frequent) - 1)[place[hit]], owner[hit]
+    count, moved = np.zeros(1 << bits, np.int32), np.zeros(1 << bits, np.float32)
+    for k in range(0, n, FIT_ROWS):  # a few rows at a time: the driver holds the buckets once
+        part = flat[ends[k] - sizes[k] : ends[min(k + FIT_ROWS, n) - 1]]
+        count += np.bincount(part, minlength=1 << bits).astype(np.int32)
+        moved += np.bincount(part, np.repeat(scaled[k : k + FIT_ROWS], sizes[k : k + FIT_ROWS]), 1 << bits).astype(np.float32)
+    frequent = (count >= min_rows) & (np.abs(moved) >= min_z * np.sqrt(np.maximum(count * scaled.var(), 1e-12)))
+    used = np.flatnonzero(frequent)
+    p = len(used)
+    at = np.flatnonzero(frequent[flat])
+    col, owner = np.searchsorted(used, flat[at]), np.searchsorted(ends, at, side="right")
     theta = np.concatenate([np.zeros(p), [start[0]], np.log(np.maximum(np.diff(start), 1e-3))])
     df = np.bincount(col, minlength=p)
     step = np.concatenate([1 / np.sqrt(1 + df / n * 200), np.full(n_grades - 1, 1.0)])
@@ -172,7 +184,7 @@ def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int, bits:
         rate = 0.1 * step * (1 - t / (passes + 1)) + 0.002
         look = look - rate * (mean / (1 - 0.9**t)) / (np.sqrt(var / (1 - 0.999**t)) + 1e-8)
     cuts = look[p] + np.concatenate([[0.0], np.cumsum(np.exp(look[p + 1 :]))])
-    return OrdinalModel(used[frequent], look[:p].astype(np.float32), cuts, bits)
+    return OrdinalModel(used, look[:p].astype(np.float32), cuts, bits)
 
 
 def grade(quality: Column, toxic: Column) -> Column:
@@ -198,9 +210,10 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> OrdinalM
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("grade"), pa.array(found, pa.list_(pa.int32()))], ["doc_id", "grade", "buckets"])
 
     found = texts.mapInArrow(run, "doc_id long, grade int, buckets array<int>").toArrow().sort_by("doc_id")
-    flat = np.asarray(found.column("buckets").combine_chunks().flatten()).astype(np.int64) if found.num_rows else np.zeros(0, np.int64)
-    ends = np.cumsum(np.asarray(found.column("buckets").combine_chunks().value_lengths())) if found.num_rows else np.zeros(0, np.int64)
-    return fit_ordinal(np.split(flat, ends[:-1]) if found.num_rows else [], np.asarray(found.column("grade")).astype(np.int64), GRADES)
+    if not found.num_rows:
+        return fit_ordinal(np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64), GRADES)
+    lists = found.column("buckets").combine_chunks()
+    return fit_ordinal(np.asarray(lists.flatten()), np.asarray(lists.value_lengths()).astype(np.int64), np.asarray(found.column("grade")).astype(np.int64), GRADES)
 
 
 def score(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, tail: float = TAIL) -> DataFrame:
@@ -209,7 +222,7 @@ def score(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, ta
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weights = shared.value.dense()
-        features = Featurizer(shared.value.bits, weights != 0)
+        features = Featurizer(shared.value.bits, set(shared.value.buckets.tolist()))
         for part in slices(batches, "text"):
             latent = np.array([float(weights[features(t)].sum(dtype=np.float64)) for t in strings(part, "text")])
             tails = shared.value.tails(latent)
@@ -227,7 +240,7 @@ def select(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weights = shared.value.dense()
-        features = Featurizer(shared.value.bits, weights != 0)
+        features = Featurizer(shared.value.bits, set(shared.value.buckets.tolist()))
         for part in slices(batches, "text"):
             latent = np.array([float(weights[features(t)].sum(dtype=np.float64)) for t in strings(part, "text")])
             yield part.filter(pa.array(shared.value.tails(latent)[:, tail_grade - 1] >= tail))

@@ -67,4 +67,4 @@ class WordCache(dict):
     def missing(self, words: set) -> list:
         if len(self) > self.limit:
             self.clear()
-        return list(words.difference(self.keys()))
+        return [w for w in words if w not in self]  # set.difference would walk the whole cache

@@ -26,6 +26,7 @@ from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cached_property
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fedlake.llm.longtable import LongTable
-from fedlake.llm.runtime import WordCache, cut, slices, strings
+from fedlake.llm.runtime import CACHE_WORDS, cut, slices, strings
 
 MARK = "▁"
 STRETCH = 48
@@ -260,40 +261,56 @@ def fit(training: DataFrame, pieces: list[str], rounds: int = 2) -> LanguageMode
     return model
 
 
+class Places(dict):
+    """Token to row number; a token not seen yet gets the next row and is noted as new."""
+
+    def __init__(self):
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, token: str) -> int:
+        row = self[token] = len(self)
+        self.new.append(token)
+        return row
+
+    def take_new(self) -> list[str]:
+        new, self.new = self.new, []
+        return new
+
+
 class TextScorer:
-    """Log-likelihoods of texts for one Python worker, with a bounded cache of token scores."""
+    """Log-likelihoods of texts for one Python worker; token scores are rows of one bounded array."""
 
-    def __init__(self, model: LanguageModel):
+    def __init__(self, model: LanguageModel, limit: int = 2 * CACHE_WORDS):
         self.model = model
-        self.cache = WordCache()
+        self.place = Places()
+        self.limit = limit
+        self.sums = np.zeros((0, len(model.languages)))
+        self.runs = np.zeros(0, np.int64)
+
+    def _learn(self, tokens: list[str]) -> None:
+        """Append the scores of tokens not seen yet."""
+        runs = [stretches(t) for t in tokens]
+        words = [w for r in runs for w in r]
+        known = {w: k for k, w in enumerate(dict.fromkeys(words))}
+        values = self.model.word_scores(list(known))
+        each = np.fromiter(map(known.__getitem__, words), np.int64, len(words))
+        sizes = np.fromiter(map(len, runs), np.int64, len(runs))
+        owner = np.repeat(np.arange(len(runs)), sizes)
+        sums = np.column_stack([np.bincount(owner, values[each, k], len(runs)) for k in range(values.shape[1])]) if len(words) else np.zeros((len(runs), values.shape[1]))
+        self.sums, self.runs = np.vstack([self.sums, sums]), np.concatenate([self.runs, sizes])
 
     def scores(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(log-likelihood by language, number of letter runs) of each text."""
         tokens = [t.split() for t in texts]
-        distinct = set()
-        for t in tokens:
-            distinct.update(t)
-        new = self.cache.missing(distinct)
-        if len(new) < len(distinct):
-            new = [t for t in distinct if t not in self.cache]
-        runs = [stretches(t) for t in new]
-        words = [w for r in runs for w in r]
-        known = {w: k for k, w in enumerate(dict.fromkeys(words))}
-        values = self.model.word_scores(list(known))[[known[w] for w in words]]
-        ends = np.cumsum([len(r) for r in runs]) if runs else np.zeros(0, int)
-        sums = np.vstack([np.zeros((1, len(self.model.languages))), np.cumsum(values, axis=0)]) if len(values) else np.zeros((1, len(self.model.languages)))
-        starts = np.r_[0, ends[:-1]] if len(ends) else ends
-        for t, a, b in zip(new, starts.tolist(), ends.tolist(), strict=True):
-            self.cache[t] = (values[a:b].sum(axis=0), b - a) if b - a < 8 else (sums[b] - sums[a], b - a)
-        index = {t: k for k, t in enumerate(distinct)}
-        table = np.array([self.cache[t][0] for t in distinct]) if distinct else np.zeros((0, len(self.model.languages)))
-        counts = np.array([self.cache[t][1] for t in distinct], np.int64) if distinct else np.zeros(0, np.int64)
-        out, n = np.zeros((len(texts), len(self.model.languages))), np.zeros(len(texts), np.int64)
-        for k, t in enumerate(tokens):
-            if t:
-                at = np.fromiter(map(index.__getitem__, t), np.int64, len(t))
-                out[k], n[k] = table[at].sum(axis=0), counts[at].sum()
-        return out, n
+        if len(self.place) > self.limit:
+            self.place, self.sums, self.runs = Places(), self.sums[:0], self.runs[:0]
+        sizes = np.fromiter(map(len, tokens), np.int64, len(tokens))
+        at = np.fromiter(map(self.place.__getitem__, chain.from_iterable(tokens)), np.int64, int(sizes.sum()))
+        self._learn(self.place.take_new())
+        owner = np.repeat(np.arange(len(texts)), sizes)
+        loglik = np.column_stack([np.bincount(owner, self.sums[at, k], len(texts)) for k in range(self.sums.shape[1])])
+        return loglik, np.bincount(owner, self.runs[at], len(texts)).astype(np.int64)
 
 
 def predict(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
@@ -329,21 +346,16 @@ def train_and_predict(docs: DataFrame, pieces: list[str], rounds: int = 2) -> Da
 
 
 def select(docs: DataFrame, model: LanguageModel | None, least: float) -> DataFrame:
-    """The documents whose language is found with at least ``least`` probability, ``lang`` set to it; one pass without a join."""
+    """The documents in a learned language, found with at least ``least`` probability; all columns as they are, one pass without a join."""
     if model is None:
         return docs.limit(0)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    at = docs.columns.index("lang")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = TextScorer(shared.value)
-        names = np.array(shared.value.languages, object)
         for part in slices(batches, "text"):
             loglik, n = scorer.scores(strings(part, "text"))
             sure = 1 / np.exp(loglik - loglik.max(axis=1)[:, None]).sum(axis=1)
-            kept = (n > 0) & (sure >= least)
-            columns = list(part.columns)
-            columns[at] = pa.array(names[loglik.argmax(axis=1)].tolist(), part.schema.field(at).type)
-            yield pa.RecordBatch.from_arrays(columns, schema=part.schema).filter(pa.array(kept))
+            yield part.filter(pa.array((n > 0) & (sure >= least)))
 
     return docs.mapInArrow(run, docs.schema)

@@ -12,9 +12,9 @@ class of 64 tokens, then the token within it. Output biases start at corpus
 frequencies.
 
 Training covers the corpus and grows with it. Every input split trains a copy
-from the current parameters over its own documents (in each round another
-residue of the token positions, so that rounds don't repeat work), and the
-copies are averaged by their number of tokens in one distributed sum of
+from the current parameters over its own documents (every eighth run of eight
+consecutive tokens, in each round another eighth, so that every stretch of every
+text takes part and rounds don't repeat work), and the copies are averaged by their number of tokens in one distributed sum of
 fixed-point values; two rounds follow each other. The driver holds one set of
 parameters and the frequent words, whatever the corpus' size.
 
@@ -28,6 +28,8 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
+from itertools import chain
 from zlib import crc32
 
 import numpy as np
@@ -35,17 +37,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedlake.llm.runtime import WordCache, slices, utf8
+from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, slices, utf8
 
 CLASS = 64
-CLASSES = 64
+CLASSES = 32
 TOKENS = CLASS * CLASSES
-NAMED = 3072
+NAMED = 1536
 WINDOW = 2
 WIDTH = 16
 HIDDEN = 24
 ROUNDS = 2
-#: Each round trains on one of so many residues of the positions.
+#: Each round trains on one of every STRIDE runs of RUN consecutive tokens.
+RUN = 8
 STRIDE = 8
 BATCH = 4096
 SCORED = 16384
@@ -97,14 +100,21 @@ class WindowNet:
 
     def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
         """log P(target | both sides) of each row."""
-        p = self.parts
+        p, safe = self.parts, self.bounded
         _, h = self.forward(context)
         cls, within = target // CLASS, target % CLASS
-        out = _log_softmax(h @ p["class"] + p["class_bias"], cls)
+        out = _log_softmax(h @ p["class"] + p["class_bias"], cls, safe)
         for c, rows in _by_class(cls):
-            out[rows] += _log_softmax(h[rows] @ p["token"][c] + p["token_bias"][c], within[rows])
+            out[rows] += _log_softmax(h[rows] @ p["token"][c] + p["token_bias"][c], within[rows], safe)
         return out
 
+    @cached_property
+    def bounded(self) -> bool:
+        """Whether no logit can leave the range of single-precision exponentials (hidden values lie in [-1, 1])."""
+        p = self.parts
+        most = max((np.abs(p[k]).sum(axis=-2) + np.abs(p[k + "_bias"])).max() for k in ("class", "token"))
+        return bool(most < 70)
+
     def gradients(self, context: np.ndarray, target: np.ndarray) -> dict[str, np.ndarray]:
         """Of the mean negative log-probability."""
         p = self.parts
@@ -137,9 +147,14 @@ def _by_class(cls: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
             yield c, order[edges[c] : edges[c + 1]]
 
 
-def _log_softmax(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
-    top = logits.max(axis=1)
-    return logits[np.arange(len(at)), at] - top - np.log(np.exp(logits - top[:, None]).sum(axis=1))
+def _log_softmax(logits: np.ndarray, at: np.ndarray, bounded: bool = False) -> np.ndarray:
+    """Log-probability of one column per row; ``bounded`` logits can't overflow and need no shift."""
+    picked = logits[np.arange(len(at)), at]
+    if not bounded:
+        top = logits.max(axis=1)
+        logits, picked = logits - top[:, None], picked - top
+    np.exp(logits, out=logits)
+    return picked - np.log(logits @ np.ones(logits.shape[1], logits.dtype))
 
 
 def _softmax_error(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -163,32 +178,51 @@ class Trainer:
             self.net.parts[k] -= self.rate * g / np.sqrt(s)
 
 
-class Tokens:
-    """Words to token ids for one Python worker: named ones by rank, the others by hash bucket."""
-
-    def __init__(self, named: list[bytes]):
-        self.named = {w: k for k, w in enumerate(named)}
-        self.cache = WordCache()
-
-    def lay_out(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(flat ids with absent neighbours around every text, positions of tokens, tokens per text)."""
-        words = [t.split() for t in texts]
-        distinct = set()
-        for ws in words:
-            distinct.update(ws)
-        new = self.cache.missing(distinct)
-        if len(new) < len(distinct):
-            new = [w for w in distinct if w not in self.cache]
-        for w in new:
-            named = self.named.get(w)
-            self.cache[w] = NAMED + crc32(w) % (TOKENS - NAMED) if named is None else named
-        get = self.cache.__getitem__
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        flat = np.full(int(sizes.sum()) + WINDOW * (len(words) + 1), ABSENT, np.int32)
-        starts = WINDOW + np.cumsum(np.r_[0, sizes[:-1] + WINDOW]) if len(words) else np.zeros(0, np.int64)
-        at = np.repeat(starts - np.r_[0, np.cumsum(sizes)[:-1]], sizes) + np.arange(int(sizes.sum())) if len(words) else np.zeros(0, np.int64)
-        flat[at] = np.fromiter((get(w) for ws in words for w in ws), np.int32, len(at))
-        return flat, at, sizes
+class TokenIds(dict):
+    """Words to token ids for one Python worker: named ones by rank, the others by hash bucket, kept up to a limit."""
+
+    def __init__(self, named: list[bytes], limit: int = 2 * CACHE_WORDS):
+        super().__init__((w, k) for k, w in enumerate(named))
+        self.limit = limit
+        self[None] = ABSENT  # stands between texts
+
+    def __missing__(self, word: bytes) -> int:
+        token = NAMED + crc32(word) % (TOKENS - NAMED)
+        if len(self) < self.limit:
+            self[word] = token
+        return token
+
+
+def stream(texts: list[bytes]) -> tuple[list[bytes | None], np.ndarray]:
+    """(words of all texts with absent neighbours around each, words per text)."""
+    words, gap = [t.split() for t in texts], [None] * WINDOW
+    return list(chain(gap, chain.from_iterable(chain(ws, gap) for ws in words))), np.fromiter(map(len, words), np.int64, len(words))
+
+
+def places(sizes: np.ndarray) -> np.ndarray:
+    """Positions of the words in the stream."""
+    starts = WINDOW + np.cumsum(np.r_[0, sizes[:-1] + WINDOW]) if len(sizes) else sizes
+    return np.repeat(starts - np.r_[0, np.cumsum(sizes)[:-1]], sizes) + np.arange(int(sizes.sum())) if len(sizes) else sizes
+
+
+def lay_out(ids: TokenIds, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(flat ids with absent neighbours around every text, positions of tokens, tokens per text)."""
+    words, sizes = stream(texts)
+    return np.fromiter(map(ids.__getitem__, words), np.int32, len(words)), places(sizes), sizes
+
+
+def training_rows(ids: TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, targets) of one of every ``stride`` runs of consecutive tokens; only the words they need are looked up."""
+    words, sizes = stream(texts)
+    at = places(sizes)
+    at = at[np.arange(len(at)) // RUN % stride == residue]
+    needed = np.zeros(len(words), bool)
+    for k in range(-WINDOW, WINDOW + 1):
+        needed[at + k] = True
+    where = np.flatnonzero(needed)
+    flat = np.full(len(words), ABSENT, np.int32)
+    flat[where] = np.fromiter((ids[words[i]] for i in where.tolist()), np.int32, len(where))
+    return flat[at[:, None] + OFFSETS], flat[at]
 
 
 OFFSETS = np.array([k for k in range(-WINDOW, WINDOW + 1) if k])
@@ -233,16 +267,14 @@ def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: in
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, start = shared.value
-        tokens, trainer = Tokens(words), Trainer(start)
+        ids, trainer = TokenIds(words), Trainer(start)
         used = 0
-        for part in slices(batches, "text"):
-            flat, at, _ = tokens.lay_out(utf8(part, "text"))
-            mine = at[residue::stride]
-            mine = mine[np.random.default_rng(SEED + residue).permutation(len(mine))]
-            for k in range(0, len(mine), BATCH):
-                rows = mine[k : k + BATCH]
-                trainer.step(flat[rows[:, None] + OFFSETS], flat[rows])
-            used += len(mine)
+        for part in slices(batches, "text", 4 * CHUNK_BYTES):
+            context, target = training_rows(ids, utf8(part, "text"), residue, stride)
+            order = np.random.default_rng(SEED + residue).permutation(len(target))
+            for k in range(0, len(order), BATCH):
+                trainer.step(context[order[k : k + BATCH]], target[order[k : k + BATCH]])
+            used += len(target)
         if used:
             weight = max(1, used // BATCH)
             values = np.rint(trainer.net.flat().astype(np.float64) * FIXED).astype(np.int64) * weight
@@ -270,9 +302,9 @@ def score(docs: DataFrame, named: list[bytes], net: WindowNet) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, model = shared.value
-        tokens = Tokens(words)
+        ids = TokenIds(words)
         for part in slices(batches, "text"):
-            flat, at, sizes = tokens.lay_out(utf8(part, "text"))
+            flat, at, sizes = lay_out(ids, utf8(part, "text"))
             each = [model.log_probs(flat[at[k : k + SCORED, None] + OFFSETS], flat[at[k : k + SCORED]]) for k in range(0, len(at), SCORED)]
             owner = np.repeat(np.arange(len(sizes)), sizes)
             total = np.bincount(owner, np.concatenate(each), len(sizes)) if each else np.zeros(len(sizes))

@@ -96,4 +96,5 @@ def register_client_shards(spark: SparkSession) -> None:
         def reader(self, schema):
             return Shards(self.options)
 
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(ClientShards)

@@ -130,7 +130,7 @@ def fit_ordinal(flat: np.ndarray, sizes: np.ndarray, grades: np.ndarray, n_grade
     flat, sizes: buckets of all rows one after the other, and how many each row
     has. Thresholds are a first value and positive gaps (exponentials), which
     keeps their order. Rare grades weigh up to the geometric mean of equal and
-    natural weights.
+    natural weights. The fixed number of passes stops early on purpose: it regularises.
     """
     n, ends = len(sizes), np.cumsum(sizes)
     share = np.bincount(grades, minlength=n_grades) / max(1, n)
@@ -157,7 +157,7 @@ def fit_ordinal(flat: np.ndarray, sizes: np.ndarray, grades: np.ndarray, n_grade
     col, owner = np.searchsorted(used, flat[at]), np.searchsorted(ends, at, side="right")
     theta = np.concatenate([np.zeros(p), [start[0]], np.log(np.maximum(np.diff(start), 1e-3))])
     df = np.bincount(col, minlength=p)
-    step = np.concatenate([1 / np.sqrt(1 + df / n * 200), np.full(n_grades - 1, 1.0)])
+    step = np.concatenate([1 / np.sqrt(1 + df / n * 20), np.full(n_grades - 1, 1.0)])
 
     def gradient(theta):
         w, first, gaps = theta[:p], theta[p], np.exp(theta[p + 1 :])

@@ -35,7 +35,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from fedlake.llm.runtime import cut, slices, utf8
+from fedlake.llm.runtime import cut, fresh, slices, utf8
 
 SYMBOLS = b"#*$%&|<>"
 WINDOW = 5
@@ -282,5 +282,7 @@ def judge(docs: DataFrame, level: float = LEVEL, steps: int = STEPS) -> DataFram
 
 def keep(docs: DataFrame, level: float = LEVEL) -> DataFrame:
     """The documents kept, all columns; a doc_id that repeats is kept if all its rows are."""
-    verdict = judge(docs.select("doc_id", "text", "lang", "source"), level).where("kept").select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(verdict, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
+    name = fresh("kept", docs.columns)
+    judged = judge(docs.select("doc_id", "text", "lang", "source"), level)
+    whole = judged.groupBy("doc_id").agg(F.min("kept").alias("all_kept")).where("all_kept").select(F.col("doc_id").alias(name))
+    return docs.join(whole, F.col("doc_id").eqNullSafe(F.col(name)), "left_semi")

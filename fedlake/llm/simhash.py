@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fedlake.llm.components import connected_components
-from fedlake.llm.runtime import cut, slices, utf8
+from fedlake.llm.runtime import cut, fresh, slices, utf8
 
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 SEED = 42
@@ -183,6 +183,7 @@ def one_per_group(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame
     stays. Rows without a doc_id can't be named as a group's first and stay.
     """
     groups = near_groups(docs.select("doc_id", "text"), width, radius)
-    firsts = groups.where("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
-    named = docs.where("doc_id is not null").join(firsts, F.col("doc_id") == F.col("_first"), "left_semi").dropDuplicates(["doc_id"])
+    first = fresh("first", docs.columns)
+    firsts = groups.where("doc_id = component_id").select(F.col("doc_id").alias(first)).distinct()
+    named = docs.where("doc_id is not null").join(firsts, F.col("doc_id") == F.col(first), "left_semi").dropDuplicates(["doc_id"])
     return named.unionByName(docs.where("doc_id is null"))

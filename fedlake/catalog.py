@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from fedlake.queries.registry import REGISTRY
 
-AREAS = ("data", "privacy", "training", "sequences", "ranking", "models", "streams")
+AREAS = ("data", "privacy", "training", "sequences", "ranking", "models", "streams", "udfs")
 
 
 def _load() -> None:

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, slices, utf8
+from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, slices, utf8
 
 CLASS = 64
 CLASSES = 32
@@ -242,7 +242,7 @@ def corpus_tokens(docs: DataFrame) -> tuple[list[bytes], np.ndarray]:
                 counts.clear()
         yield as_batch()
 
-    words = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    words = cut(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
     rows = words.orderBy(F.col("n").desc(), "word").limit(NAMED).collect()  # a fixed number of rows
     named = [bytes(r.word) for r in rows]
     frequency = np.zeros(TOKENS)

@@ -21,7 +21,6 @@ give no rows; extra columns are ignored.
 
 from __future__ import annotations
 
-import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -30,6 +29,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -45,7 +45,7 @@ SMOOTH = 0.05
 WORD_ROWS = 20_000
 #: Languages that the model may hold; more is an error of the labels.
 MAX_LANGUAGES = 1000
-LETTERS = re.compile(r"[^\W\d_]+")
+LETTERS = regex.compile(r"\p{L}+")
 UNKNOWN = "und"
 
 

@@ -7,7 +7,7 @@ import math
 import numpy as np
 from pyspark.sql import functions as F
 
-from fedlake.functions.hashing import uniform, uniform_sql
+from fedlake.functions.hashing import uniform_sql
 from fedlake.operators import metrics, protocol, relops, scoring
 from fedlake.operators.protocol import shadow_split
 from fedlake.queries.data import P_SQL, USR_SQL, customers

@@ -91,14 +91,24 @@ def _refine(rows: DataFrame, level: int) -> DataFrame:
     return first.select("source_key", F.col("c.cell").alias("prefix"), (F.col("c.need") - (F.col("c.upto") - F.col("c.held"))).alias("rest"), F.col("c.held").alias("held"))
 
 
-def thresholds(docs: DataFrame, targets: DataFrame) -> DataFrame:
-    """(source_key, copies, bound): take ``copies`` of all, one more where hash < bound."""
+#: Plans up to this many sources (one short row each) are broadcast; larger ones are joined by shuffle.
+BROADCAST_SOURCES = 100_000
+
+
+def _sized(plan: DataFrame, sizes: DataFrame) -> DataFrame:
+    """The plan, marked for broadcast where the counted sources bound its size."""
+    return F.broadcast(plan) if sizes.count() <= BROADCAST_SOURCES else plan
+
+
+def thresholds(docs: DataFrame, targets: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(source_key, copies, bound): take ``copies`` of all, one more where hash < bound. sizes: one row per source."""
+    small = sizes.count() <= BROADCAST_SOURCES
     copies = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
     plan = targets.withColumn("copies", copies).withColumn("need", F.col("target") - F.col("copies") * F.col("source_size"))
     edge = plan.where("need > 0").select("source_key", "need", F.lit(0).cast("long").alias("prefix"))
     for level in range(LEVELS):
         above = BITS * (LEVELS - level)
-        inside = docs.join(edge, "source_key").where(F.shiftright("hash", above) == F.col("prefix")) if level else docs.join(edge, "source_key")
+        inside = docs.join(F.broadcast(edge) if small else edge, "source_key").where(F.shiftright("hash", above) == F.col("prefix"))
         edge = _refine(inside, level).select("source_key", F.col("rest").alias("need"), "prefix", "held")
     bound = F.when(F.col("held") - F.col("need") <= F.col("need"), F.col("prefix") + 1).otherwise(F.col("prefix"))
     ends = edge.select("source_key", bound.alias("bound"))
@@ -115,10 +125,10 @@ def mix_documents(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share:
             id_hash(F.col("doc_id")).alias("hash"),
         )
     )
-    sizes = rows.groupBy("source_key").agg(F.sum("size").alias("source_size"))
-    plan = thresholds(rows.select("source_key", "hash", "size"), source_targets(sizes, weights, share, repeats))
+    sizes = cut(rows.groupBy("source_key").agg(F.sum("size").alias("source_size")))
+    plan = thresholds(rows.select("source_key", "hash", "size"), source_targets(sizes, weights, share, repeats), sizes)
     extra = F.when(F.col("hash") < F.col("bound"), F.lit(1)).otherwise(F.lit(0))
-    return rows.join(plan, "source_key").select("doc_id", "size", "source_size", "target", (F.col("size") * (F.col("copies") + extra)).cast("long").alias("taken"))
+    return rows.join(_sized(plan, sizes), "source_key").select("doc_id", "size", "source_size", "target", (F.col("size") * (F.col("copies") + extra)).cast("long").alias("taken"))
 
 
 def apply_mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, repeats: float = REPEATS, copies_column: str | None = None) -> DataFrame:
@@ -130,11 +140,11 @@ def apply_mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: floa
     """
     key, hashed = source_key(F.col("source")).alias("source_key"), id_hash(F.col("doc_id")).alias("hash")
     sized = cut(docs.select(key, hashed, word_count(F.col("text")).alias("size")))
-    sizes = sized.groupBy("source_key").agg(F.sum("size").alias("source_size"))
-    plan = thresholds(sized, source_targets(sizes, weights, share, repeats))
+    sizes = cut(sized.groupBy("source_key").agg(F.sum("size").alias("source_size")))
+    plan = thresholds(sized, source_targets(sizes, weights, share, repeats), sizes)
     keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), key, hashed)
     count = (F.col("copies") + F.when(F.col("hash") < F.col("bound"), 1).otherwise(0)).cast("int")
-    counted = keyed.join(plan.select("source_key", "copies", "bound"), "source_key").select("row", count.alias("count"))
+    counted = keyed.join(_sized(plan.select("source_key", "copies", "bound"), sizes), "source_key").select("row", count.alias("count"))
     if copies_column:
         return counted.where("count > 0").select("row.*", F.col("count").alias(copies_column))
     return counted.where("count > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("count")))).select("row.*")

@@ -217,7 +217,7 @@ def fit(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> OrdinalM
 
 
 def score(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, tail: float = TAIL) -> DataFrame:
-    """(doc_id, latent, expected_grade, tail_probability, accepted) of every document."""
+    """(doc_id, latent, expected_grade, tail_probability, kept) of every document."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the buckets seen in the sample
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -227,10 +227,10 @@ def score(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, ta
             latent = np.array([float(weights[features(t)].sum(dtype=np.float64)) for t in strings(part, "text")])
             tails = shared.value.tails(latent)
             top = tails[:, tail_grade - 1]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(latent), pa.array(tails.sum(axis=1)), pa.array(top), pa.array(top >= tail)], ["doc_id", "latent", "expected_grade", "tail_probability", "accepted"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(latent), pa.array(tails.sum(axis=1)), pa.array(top), pa.array(top >= tail)], ["doc_id", "latent", "expected_grade", "tail_probability", "kept"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, latent double, expected_grade double, tail_probability double, accepted boolean")
+    return rows.mapInArrow(run, "doc_id long, latent double, expected_grade double, tail_probability double, kept boolean")
 
 
 def select(docs: DataFrame, model: OrdinalModel, tail_grade: int = TAIL_GRADE, tail: float = TAIL) -> DataFrame:

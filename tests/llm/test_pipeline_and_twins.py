@@ -26,7 +26,7 @@ def test_stages(spark, folder, tmp_path):
         before, docs = docs, spark.read.parquet(f"file:{tmp_path}/{name}")
         if name == "quality_classifier":
             model = quality_classifier.fit(before, spark.read.parquet(f"{folder}/labels.parquet"))
-            kept = {r.doc_id for r in quality_classifier.score(before, model).where("accepted").collect()}
+            kept = {r.doc_id for r in quality_classifier.score(before, model).where("kept").collect()}
             assert {r.doc_id for r in docs.collect()} == kept
         elif name == "language_id":
             model = language_id.fit(before.where(~language_id.held_out(before.doc_id)), Q.vocabulary().pieces)

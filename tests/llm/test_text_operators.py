@@ -236,8 +236,8 @@ def test_toxic_rows_are_rejected_and_clean_ones_kept(spark):
     labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
     rows = quality_classifier.score(docs.join(labels.select("doc_id"), "doc_id", "left_semi"), quality_classifier.fit(docs, labels)).join(labels, "doc_id").collect()
     toxic, clean = [r for r in rows if r.toxic], [r for r in rows if not r.toxic and r.quality]
-    assert sum(r.accepted for r in toxic) <= 0.06 * len(toxic)
-    assert sum(r.accepted for r in clean) >= 0.98 * len(clean)
+    assert sum(r.kept for r in toxic) <= 0.06 * len(toxic)
+    assert sum(r.kept for r in clean) >= 0.98 * len(clean)
 
 
 # -- vectors --------------------------------------------------------------

@@ -52,6 +52,8 @@ MIN_GROUP = 50
 #: Bins of a floor's width by which medians and quartiles are found, and bins of a doubling of the squared distance.
 VALUE_BINS = 16
 DISTANCE_BINS = 64
+#: Tables of one short row per group are broadcast up to this many groups; larger ones are joined by shuffle.
+BROADCAST_GROUPS = 20_000
 _CONTINUED = bytes(range(0x80, 0xC0))
 _SPACES = b" \t\n\x0b\x0c\r"
 
@@ -183,6 +185,12 @@ def vectors(stats: DataFrame) -> DataFrame:
 
 
 # -- robust estimates ---------------------------------------------------
+def _by_group(table: DataFrame) -> DataFrame:
+    """A table of one row per group, materialised and marked for broadcast where its count bounds its size."""
+    table = cut(table)
+    return F.broadcast(table) if table.count() <= BROADCAST_GROUPS else table
+
+
 def assign_groups(rows: DataFrame) -> DataFrame:
     """``cell``: the group a row is estimated with, by the fallbacks for small groups; null if there are too few."""
     own = rows.groupBy("group_key", "lang_key").agg(F.count("*").alias("n"))
@@ -192,7 +200,7 @@ def assign_groups(rows: DataFrame) -> DataFrame:
     own = own.withColumn("cell", named).withColumn("pooled", F.col("cell").isNull())
     own = own.withColumn("rest", F.sum("n").over(whole))
     cell = F.coalesce("cell", F.when(F.col("rest") >= MIN_GROUP, F.lit("rest")))
-    return rows.join(own.select("group_key", cell.alias("cell")), "group_key", "left")
+    return rows.join(_by_group(own.select("group_key", cell.alias("cell"))), "group_key", "left")
 
 
 def _quantiles(binned: DataFrame, keys: list[str], shares: dict[str, float]) -> DataFrame:
@@ -261,14 +269,14 @@ def _moments(rows: DataFrame, scale: float) -> DataFrame:
 def robust_models(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
     """cell, centre, inverse scatter after concentration and reweighting. rows: cell and the statistic vector."""
     d = len(FEATURES)
-    inverse = cut(_inverted(_start(rows)))
+    inverse = _by_group(_inverted(_start(rows)))
     for _ in range(steps):
         near = _with_distance(rows, inverse).withColumn("bin", F.floor(F.log2(F.col("distance") + 1e-12) * DISTANCE_BINS))
         limit = _quantiles(near.select("cell", "bin"), ["cell"], {"edge": share})
-        inside = near.join(limit, "cell").where(F.col("bin") <= F.col("edge"))
-        inverse = cut(_inverted(_moments(inside, consistency(share, d))))
+        inside = near.join(_by_group(limit), "cell").where(F.col("bin") <= F.col("edge"))
+        inverse = _by_group(_inverted(_moments(inside, consistency(share, d))))
     inside = _with_distance(rows, inverse).where(F.col("distance") <= chi2_quantile(0.975, d))
-    return cut(_inverted(_moments(inside, consistency(0.975, d))))
+    return _by_group(_inverted(_moments(inside, consistency(0.975, d))))
 
 
 def judge(docs: DataFrame, level: float = LEVEL, steps: int = STEPS) -> DataFrame:

@@ -12,11 +12,11 @@ class of 64 tokens, then the token within it. Output biases start at corpus
 frequencies.
 
 Training covers the corpus and grows with it. Every input split trains a copy
-from the current parameters over its own documents (every eighth run of eight
-consecutive tokens, in each round another eighth, so that every stretch of every
-text takes part and rounds don't repeat work), and the copies are averaged by their number of tokens in one distributed sum of
-fixed-point values; two rounds follow each other. The driver holds one set of
-parameters and the frequent words, whatever the corpus' size.
+from the current parameters over its own documents, and the copies are averaged
+by their number of tokens in one distributed sum of fixed-point values. Two
+rounds follow each other, each on every other run of eight consecutive tokens:
+every token is a target exactly once. The driver holds one set of parameters and
+the frequent words, whatever the corpus' size.
 
 Defined results: null, empty and blank texts have no tokens and score 0;
 repeated rows train and score again; ties of word frequency go to the word first
@@ -46,10 +46,10 @@ NAMED = 1536
 WINDOW = 2
 WIDTH = 16
 HIDDEN = 24
-ROUNDS = 2
-#: Each round trains on one of every STRIDE runs of RUN consecutive tokens.
+#: Each round trains on one of every STRIDE runs of RUN consecutive tokens; the rounds cover all of them.
 RUN = 8
-STRIDE = 8
+STRIDE = 2
+ROUNDS = STRIDE
 BATCH = 4096
 SCORED = 16384
 RATE = 0.15

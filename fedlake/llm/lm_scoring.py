@@ -5,7 +5,10 @@ token of a text from the tokens on both sides of it; the summed conditional
 log-probabilities score the document.
 
 Tokens are the words of the text: the most frequent ones of the whole corpus by
-name, all others by hash bucket, so every token is predicted. The network looks
+name, all others by hash bucket and spelling: log P(bucket) from the network plus
+the log-probability of the word's bytes up to its end under a model of byte pairs,
+counted over all words without a name. A rare word so has a probability of its own;
+those of all words of a bucket sum to at most the bucket's. The network looks
 up the embeddings of the window (absent neighbours have one of their own),
 passes them through a tanh layer, and predicts through a two-level softmax: a
 class of 64 tokens, then the token within it. Output biases start at corpus
@@ -40,9 +43,9 @@ from pyspark.sql import functions as F
 from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, slices, utf8
 
 CLASS = 64
-CLASSES = 32
+CLASSES = 64
 TOKENS = CLASS * CLASSES
-NAMED = 1536
+NAMED = 3072
 WINDOW = 2
 WIDTH = 16
 HIDDEN = 24
@@ -56,6 +59,8 @@ RATE = 0.15
 FIXED = 1 << 20
 SEED = 17
 ABSENT = TOKENS
+#: The byte around a word in its spelling; words hold no white space.
+END = 10
 
 
 @dataclass
@@ -228,8 +233,8 @@ def training_rows(ids: TokenIds, texts: list[bytes], residue: int, stride: int)
 OFFSETS = np.array([k for k in range(-WINDOW, WINDOW + 1) if k])
 
 
-def corpus_tokens(docs: DataFrame) -> tuple[list[bytes], np.ndarray]:
-    """The most frequent words of all documents, and how often each token occurs: exact counts, summed per split first."""
+def counted_words(docs: DataFrame) -> DataFrame:
+    """(word, n) of all documents: exact counts, summed per split first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts: Counter = Counter()
@@ -242,12 +247,21 @@ def corpus_tokens(docs: DataFrame) -> tuple[list[bytes], np.ndarray]:
                 counts.clear()
         yield as_batch()
 
-    words = cut(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
+    return cut(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
+
+
+def corpus_tokens(docs: DataFrame) -> tuple[list[bytes], np.ndarray]:
+    """The most frequent words of all documents, and how often each token occurs."""
+    return token_counts(counted_words(docs))
+
+
+def token_counts(words: DataFrame) -> tuple[list[bytes], np.ndarray]:
+    """The most frequent of the counted words, and how often each token occurs."""
     rows = words.orderBy(F.col("n").desc(), "word").limit(NAMED).collect()  # a fixed number of rows
     named = [bytes(r.word) for r in rows]
     frequency = np.zeros(TOKENS)
     frequency[: len(rows)] = [r.n for r in rows]
-    total = docs.sparkSession.sparkContext.broadcast(set(named))
+    total = words.sparkSession.sparkContext.broadcast(set(named))
 
     def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -261,6 +275,47 @@ def corpus_tokens(docs: DataFrame) -> tuple[list[bytes], np.ndarray]:
     return named, frequency
 
 
+def byte_pairs(words: DataFrame, named: list[bytes]) -> np.ndarray:
+    """Log-probabilities of each byte after each other, over the words without a name; END stands around a word."""
+    known = words.sparkSession.sparkContext.broadcast(set(named))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rare = [(w, n) for w, n in zip(batch.column("word").to_pylist(), batch.column("n").to_pylist(), strict=True) if w not in known.value]
+            if not rare:
+                continue
+            end = bytes([END])
+            raw = np.frombuffer(end + end.join(w for w, _ in rare) + end, np.uint8).astype(np.int64)
+            times = np.repeat([n for _, n in rare], [len(w) + 1 for w, _ in rare])
+            sums = np.bincount(raw[:-1] * 256 + raw[1:], times, 65536)
+            at = np.flatnonzero(sums)
+            yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(sums[at].astype(np.int64))], ["pair", "n"])
+
+    counts = np.ones(65536)
+    for r in words.mapInArrow(run, "pair int, n long").groupBy("pair").agg(F.sum("n").alias("n")).collect():  # at most 65,536 rows
+        counts[r.pair] += r.n
+    counts = counts.reshape(256, 256)
+    return np.log(counts / counts.sum(axis=1)[:, None])
+
+
+class Spelling(dict):
+    """Log-probability of a word's bytes for one Python worker; nothing for words with a name. Kept up to a limit."""
+
+    def __init__(self, named: list[bytes], pairs: np.ndarray, limit: int = 2 * CACHE_WORDS):
+        super().__init__((w, 0.0) for w in named)
+        self.limit, self.pairs = limit, pairs.tolist()
+
+    def __missing__(self, word: bytes) -> float:
+        total, before = 0.0, END
+        for b in word:
+            total += self.pairs[before][b]
+            before = b
+        total += self.pairs[before][END]
+        if len(self) < self.limit and len(word) < 64:
+            self[word] = total
+        return total
+
+
 def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: int, stride: int = STRIDE) -> WindowNet:
     """One round over all documents: local training in every split, then the average weighted by tokens."""
     shared = docs.sparkSession.sparkContext.broadcast((named, net))  # fixed sizes
@@ -288,26 +343,30 @@ def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: in
     return net.load(values[1:] / values[0] / FIXED)
 
 
-def train(docs: DataFrame, rounds: int = ROUNDS, stride: int = STRIDE) -> tuple[list[bytes], WindowNet]:
-    named, frequency = corpus_tokens(docs)
+def train(docs: DataFrame, rounds: int = ROUNDS, stride: int = STRIDE) -> tuple[list[bytes], WindowNet, np.ndarray]:
+    words = counted_words(docs)
+    named, frequency = token_counts(words)
     net = WindowNet.start(frequency)
     for k in range(rounds):
         net = train_round(docs, named, net, k % stride, stride)
-    return named, net
+    return named, net, byte_pairs(words, named)
 
 
-def score(docs: DataFrame, named: list[bytes], net: WindowNet) -> DataFrame:
-    """(doc_id, n_tokens, pseudo_loglik, per_token): every token of every text is predicted."""
-    shared = docs.sparkSession.sparkContext.broadcast((named, net))
+def score(docs: DataFrame, named: list[bytes], net: WindowNet, pairs: np.ndarray | None = None) -> DataFrame:
+    """(doc_id, n_tokens, pseudo_loglik, per_token): every token of every text is predicted, and with ``pairs`` spelled where it has no name."""
+    shared = docs.sparkSession.sparkContext.broadcast((named, net, pairs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, model = shared.value
-        ids = TokenIds(words)
+        words, model, spelled = shared.value
+        ids, spelling = TokenIds(words), None if spelled is None else Spelling(words, spelled)
         for part in slices(batches, "text"):
-            flat, at, sizes = lay_out(ids, utf8(part, "text"))
+            texts = utf8(part, "text")
+            flat, at, sizes = lay_out(ids, texts)
             each = [model.log_probs(flat[at[k : k + SCORED, None] + OFFSETS], flat[at[k : k + SCORED]]) for k in range(0, len(at), SCORED)]
             owner = np.repeat(np.arange(len(sizes)), sizes)
             total = np.bincount(owner, np.concatenate(each), len(sizes)) if each else np.zeros(len(sizes))
+            if spelling is not None:
+                total = total + np.fromiter((sum(map(spelling.__getitem__, t.split())) for t in texts), np.float64, len(texts))
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes), pa.array(total), pa.array(total / np.maximum(sizes, 1))], ["doc_id", "n_tokens", "pseudo_loglik", "per_token"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

@@ -11,3 +11,20 @@ def test_rounds_train_every_token_once():
     targets = [lm_scoring.training_rows(ids, texts, k % lm_scoring.STRIDE, lm_scoring.STRIDE)[1] for k in range(lm_scoring.ROUNDS)]
     flat, at, _ = lm_scoring.lay_out(ids, texts)
     assert np.array_equal(np.sort(np.concatenate(targets)), np.sort(flat[at]))
+
+
+def test_rare_words_of_a_bucket_differ_by_their_spelling(spark, folder):
+    docs = spark.read.parquet(f"{folder}/documents.parquet").limit(40)
+    named, net, pairs = lm_scoring.train(docs)
+    assert lm_scoring.NAMED >= 3072 and np.allclose(np.exp(pairs).sum(axis=1), 1)
+    buckets = {}
+    for k in range(100_000):
+        word = b"zq" * (k % 9) + b"%d" % k
+        other = buckets.setdefault(lm_scoring.TokenIds([])[word], word)
+        if len(other) != len(word):
+            break
+    texts = [other.decode(), word.decode()]
+    rows = lm_scoring.score(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), named, net, pairs).orderBy("doc_id").collect()
+    spelling = lm_scoring.Spelling(named, pairs)
+    assert rows[0].pseudo_loglik != rows[1].pseudo_loglik
+    assert np.isclose(rows[0].pseudo_loglik - rows[1].pseudo_loglik, spelling[other] - spelling[word], atol=1e-4)

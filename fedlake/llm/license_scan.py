@@ -2,10 +2,9 @@
 
 Candidate blocks are the lines of a text around words that license wordings
 can't do without. Every distinct block is compressed alone and once with each
-template as a zstandard raw dictionary; the templates are ranked by the bytes
-that the dictionary saves, as they are and as a share of the template's own
-compressed size. The winners of both rankings are confirmed by exact wording
-differences: the words of block and template are aligned, and what the
+template as a zstandard raw dictionary; the bytes that the dictionary saves are
+taken as a share of the template's own compressed size. All templates that reach
+a least share are confirmed by exact wording differences: the words of block and template are aligned, and what the
 block lacks, adds or changes inside the aligned span decides between ``exact``,
 ``modified`` and ``none``.
 
@@ -21,7 +20,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 from difflib import SequenceMatcher
 
 import pyarrow as pa
@@ -57,8 +56,7 @@ ANCHOR = re.compile(r"licen[cs]e|copyright|permission|redistribut|public domain|
 _WORD = re.compile(r"\w+(?:[.\-/+]\w+)*")
 #: A line joins a block if an anchor line is at most so many lines away.
 REACH = 2
-#: Templates per ranking that are confirmed by wording, and the saved share they need.
-CONFIRMED = 4
+#: Saved share from which a template is confirmed by wording.
 MIN_SAVED = 0.1
 #: Wording verdicts: share of the template's words found, and differing words per template word.
 MIN_FOUND = 0.8
@@ -68,11 +66,13 @@ LEVEL = 3
 
 @dataclass(frozen=True)
 class Wording:
-    """How a block words a template."""
+    """How a block words a template, and the words of the block from the first to the last match."""
 
     missing: int
     added: int
     words: int
+    start: int = field(default=0, compare=False)
+    stop: int = field(default=0, compare=False)
 
     @property
     def verdict(self) -> str:
@@ -119,7 +119,7 @@ def wording(block: str, template: str) -> Wording:
     chosen = matches[low : high + 1]
     found = sum(m.size for m in chosen)
     span = chosen[-1].a + chosen[-1].size - chosen[0].a
-    return Wording(len(theirs) - found, span - found, len(theirs))
+    return Wording(len(theirs) - found, span - found, len(theirs), chosen[0].a, chosen[0].a + span)
 
 
 class Scanner:
@@ -131,7 +131,6 @@ class Scanner:
         raw = [zstandard.ZstdCompressionDict(t.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT) for _, t in templates]
         self.given = [zstandard.ZstdCompressor(level=LEVEL, dict_data=d, write_content_size=False) for d in raw]
         self.sizes = [len(self.alone.compress(t.encode())) for _, t in templates]
-        self.texts = [" " + " ".join(_WORD.findall(t.lower())) + " " for _, t in templates]
         self.cache = WordCache(20_000)
 
     def reductions(self, block: str) -> list[tuple[int, float, int]]:
@@ -144,22 +143,22 @@ class Scanner:
     def match(self, block: str) -> list[tuple[str, float, Wording]]:
         """(license, saved share, wording) of the templates whose wording confirms them.
 
-        All exact ones, without those that only repeat a part of a longer one;
-        if there is none, the closest modified one.
+        All of them, exact and modified, without those whose place in the block
+        lies inside that of a better one: exact before modified, then by words
+        found, then by fewer changes.
         """
         if block not in self.cache:
             if len(self.cache) > self.cache.limit:
                 self.cache.clear()
             found = self.reductions(block)
-            by_bytes = sorted(found, key=lambda x: (-x[0], x[2]))[:CONFIRMED]
-            by_share = sorted(found, key=lambda x: (-x[1], x[2]))[:CONFIRMED]
-            likely = {k: share for _, share, k in by_bytes + by_share if share >= MIN_SAVED}
+            likely = {k: share for _, share, k in found if share >= MIN_SAVED}
             sure = [(k, share, w) for k, share in sorted(likely.items()) if (w := wording(block, self.templates[k][1])).verdict != "none"]
-            exact = [x for x in sure if x[2].verdict == "exact"]
-            if exact:
-                kept = [x for x in exact if not any(self.texts[x[0]] != self.texts[y[0]] and self.texts[x[0]] in self.texts[y[0]] for y in exact)]
-            else:
-                kept = sorted(sure, key=lambda x: ((x[2].missing + x[2].added) / x[2].words, -x[2].words, x[0]))[:1]
+            ranked = sorted(sure, key=lambda x: (x[2].verdict != "exact", x[2].missing - x[2].words, x[2].missing + x[2].added, x[0]))
+            kept: list[tuple[int, float, Wording]] = []
+            for x in ranked:
+                if not any(y[2].start <= x[2].start and x[2].stop <= y[2].stop for y in kept):
+                    kept.append(x)
+            kept.sort(key=lambda x: x[0])
             self.cache[block] = [(self.templates[k][0], share, w) for k, share, w in kept]
         return self.cache[block]
 

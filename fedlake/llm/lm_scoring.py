@@ -16,10 +16,10 @@ frequencies.
 
 Training covers the corpus and grows with it. Every input split trains a copy
 from the current parameters over its own documents, and the copies are averaged
-by their number of tokens in one distributed sum of fixed-point values. Two
-rounds follow each other, each on every other run of eight consecutive tokens:
-every token is a target exactly once. The driver holds one set of parameters and
-the frequent words, whatever the corpus' size.
+by their number of tokens in one distributed sum of fixed-point values. Every
+token is a target exactly once: one round trains on all of them, and more rounds
+(``stride``) would share them out by runs of eight consecutive tokens. The driver
+holds one set of parameters and the frequent words, whatever the corpus' size.
 
 Defined results: null, empty and blank texts have no tokens and score 0;
 repeated rows train and score again; ties of word frequency go to the word first
@@ -31,7 +31,6 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from functools import cached_property
 from itertools import chain
 from zlib import crc32
 
@@ -51,7 +50,7 @@ WIDTH = 16
 HIDDEN = 24
 #: Each round trains on one of every STRIDE runs of RUN consecutive tokens; the rounds cover all of them.
 RUN = 8
-STRIDE = 2
+STRIDE = 1
 ROUNDS = STRIDE
 BATCH = 4096
 SCORED = 16384
@@ -113,7 +112,7 @@ class WindowNet:
             out[rows] += _log_softmax(h[rows] @ p["token"][c] + p["token_bias"][c], within[rows], safe)
         return out
 
-    @cached_property
+    @property
     def bounded(self) -> bool:
         """Whether no logit can leave the range of single-precision exponentials (hidden values lie in [-1, 1])."""
         p = self.parts
@@ -122,26 +121,36 @@ class WindowNet:
 
     def gradients(self, context: np.ndarray, target: np.ndarray) -> dict[str, np.ndarray]:
         """Of the mean negative log-probability."""
-        p = self.parts
-        seen, h = self.forward(context)
-        n = len(target)
-        cls, within = target // CLASS, target % CLASS
-        g = {k: np.zeros_like(v) for k, v in p.items()}
-        d = _softmax_error(h @ p["class"] + p["class_bias"], cls) / n
-        g["class"], g["class_bias"] = h.T @ d, d.sum(axis=0)
+        p, safe, n = self.parts, self.bounded, len(target)
+        order = np.argsort((target // CLASS).astype(np.uint8), kind="stable")  # a class is then a slice
+        flat, target = context.take(order, axis=0).ravel(), target[order]
+        cls = target // CLASS
+        seen = p["embed"].take(flat, axis=0).reshape(n, -1)
+        h = np.tanh(seen @ p["hidden"] + p["hidden_bias"])
+        d = _softmax_error(h @ p["class"] + p["class_bias"], cls, n, safe)
+        g = {"class": h.T @ d, "class_bias": d.sum(axis=0)}
         back = d @ p["class"].T
-        for c, rows in _by_class(cls):
-            d = _softmax_error(h[rows] @ p["token"][c] + p["token_bias"][c], within[rows]) / n
-            g["token"][c], g["token_bias"][c] = h[rows].T @ d, d.sum(axis=0)
-            back[rows] += d @ p["token"][c].T
+        edges = np.searchsorted(cls, np.arange(CLASSES + 1)).tolist()
+        spans = [(c, slice(edges[c], edges[c + 1])) for c in range(CLASSES) if edges[c + 1] > edges[c]]
+        logits = p["token_bias"].take(cls, axis=0)
+        for c, rows in spans:
+            logits[rows] += h[rows] @ p["token"][c]
+        d = _softmax_error(logits, target % CLASS, n, safe)
+        g["token"], g["token_bias"] = np.zeros_like(p["token"]), np.zeros_like(p["token_bias"])
+        for c, rows in spans:
+            np.matmul(h[rows].T, d[rows], out=g["token"][c])
+            back[rows] += d[rows] @ p["token"][c].T
+        g["token_bias"][[c for c, _ in spans]] = np.add.reduceat(d, [rows.start for _, rows in spans], axis=0)
         back *= 1 - h * h
         g["hidden"], g["hidden_bias"] = seen.T @ back, back.sum(axis=0)
         into = (back @ p["hidden"].T).reshape(-1, WIDTH)
-        flat = context.ravel()
-        order = np.argsort(flat, kind="stable")
-        starts = np.flatnonzero(np.r_[True, np.diff(flat[order]) > 0])
-        g["embed"][flat[order][starts]] = np.add.reduceat(into[order], starts, axis=0)
-        return g
+        key = flat.astype(np.uint16)
+        order = np.argsort(key, kind="stable")  # by radix
+        key = key[order]
+        starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        g["embed"] = np.zeros_like(p["embed"])
+        g["embed"][key[starts]] = np.add.reduceat(into.take(order, axis=0), starts, axis=0)
+        return {k: g[k] for k in p}
 
 
 def _by_class(cls: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
@@ -162,11 +171,15 @@ def _log_softmax(logits: np.ndarray, at: np.ndarray, bounded: bool = False) -> n
     return picked - np.log(logits @ np.ones(logits.shape[1], logits.dtype))
 
 
-def _softmax_error(logits: np.ndarray, at: np.ndarray) -> np.ndarray:
-    e = np.exp(logits - logits.max(axis=1)[:, None])
-    e /= e.sum(axis=1)[:, None]
-    e[np.arange(len(at)), at] -= 1
-    return e
+def _softmax_error(logits: np.ndarray, at: np.ndarray, n: int, bounded: bool) -> np.ndarray:
+    """Derivatives of the mean negative log-probability over n rows, in place of the logits."""
+    if not bounded:
+        logits -= logits.max(axis=1)[:, None]
+    np.exp(logits, out=logits)
+    logits *= (1 / (logits @ np.ones(logits.shape[1], logits.dtype)))[:, None]
+    logits[np.arange(len(at)), at] -= 1
+    logits *= logits.dtype.type(1 / n)
+    return logits
 
 
 class Trainer:
@@ -179,8 +192,11 @@ class Trainer:
     def step(self, context: np.ndarray, target: np.ndarray) -> None:
         for k, g in self.net.gradients(context, target).items():
             s = self.square[k]
-            s += g * g
-            self.net.parts[k] -= self.rate * g / np.sqrt(s)
+            move = g * g
+            s += move
+            np.divide(g, np.sqrt(s, out=move), out=move)
+            move *= self.rate
+            self.net.parts[k] -= move
 
 
 class TokenIds(dict):
@@ -192,12 +208,63 @@ class TokenIds(dict):
         self[None] = ABSENT  # stands between texts
 
     def __missing__(self, word: bytes) -> int:
-        token = NAMED + crc32(word) % (TOKENS - NAMED)
+        token = bucket(word)
         if len(self) < self.limit:
             self[word] = token
         return token
 
 
+class WordRows(dict):
+    """Words to rows of two arrays for one Python worker: the token, and the spelling's log-probability.
+
+    Words not seen yet get the next rows; the table is emptied between slices
+    when it holds many words or bytes.
+    """
+
+    def __init__(self, named: list[bytes], pairs: np.ndarray | None = None, limit: int = 2 * CACHE_WORDS, limit_bytes: int = 1 << 25):
+        super().__init__()
+        self.named, self.pairs, self.limit, self.limit_bytes = named, None if pairs is None else pairs.ravel(), limit, limit_bytes
+        self.empty()
+
+    def empty(self) -> None:
+        self.clear()
+        self.update((w, k) for k, w in enumerate(self.named))
+        self[None] = len(self.named)  # stands between texts
+        self.new: list[bytes] = []
+        self.bytes = 0
+        self.tokens = np.r_[np.arange(len(self.named)), ABSENT].astype(np.int32)
+        self.spelled = np.zeros(len(self.tokens))
+
+    def __missing__(self, word: bytes) -> int:
+        row = self[word] = len(self)
+        self.new.append(word)
+        return row
+
+    def rows(self, words: list[bytes | None]) -> np.ndarray:
+        if len(self) > self.limit or self.bytes > self.limit_bytes:
+            self.empty()
+        out = np.fromiter(map(self.__getitem__, words), np.int32, len(words))
+        new, self.new = self.new, []
+        if new:
+            self.bytes += sum(map(len, new))
+            self.tokens = np.r_[self.tokens, np.fromiter((bucket(w) for w in new), np.int32, len(new))]
+            self.spelled = np.r_[self.spelled, np.zeros(len(new)) if self.pairs is None else spell(new, self.pairs)]
+        return out
+
+
+def bucket(word: bytes) -> int:
+    """The token of a word without a name."""
+    return NAMED + crc32(word) % (TOKENS - NAMED)
+
+
+def spell(words: list[bytes], pairs: np.ndarray) -> np.ndarray:
+    """Log-probability of each word's bytes up to its end; pairs: flat, 256 by 256."""
+    end = bytes([END])
+    raw = np.frombuffer(end + end.join(words) + end, np.uint8).astype(np.int32)
+    owner = np.repeat(np.arange(len(words)), [len(w) + 1 for w in words])
+    return np.bincount(owner, pairs[raw[:-1] * 256 + raw[1:]], len(words))
+
+
 def stream(texts: list[bytes]) -> tuple[list[bytes | None], np.ndarray]:
     """(words of all texts with absent neighbours around each, words per text)."""
     words, gap = [t.split() for t in texts], [None] * WINDOW
@@ -210,23 +277,20 @@ def places(sizes: np.ndarray) -> np.ndarray:
     return np.repeat(starts - np.r_[0, np.cumsum(sizes)[:-1]], sizes) + np.arange(int(sizes.sum())) if len(sizes) else sizes
 
 
-def lay_out(ids: TokenIds, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def lay_out(ids: WordRows | TokenIds, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(flat ids with absent neighbours around every text, positions of tokens, tokens per text)."""
     words, sizes = stream(texts)
+    if isinstance(ids, WordRows):
+        rows = ids.rows(words)  # may lengthen ids.tokens
+        return ids.tokens[rows], places(sizes), sizes
     return np.fromiter(map(ids.__getitem__, words), np.int32, len(words)), places(sizes), sizes
 
 
-def training_rows(ids: TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
-    """(contexts, targets) of one of every ``stride`` runs of consecutive tokens; only the words they need are looked up."""
-    words, sizes = stream(texts)
-    at = places(sizes)
-    at = at[np.arange(len(at)) // RUN % stride == residue]
-    needed = np.zeros(len(words), bool)
-    for k in range(-WINDOW, WINDOW + 1):
-        needed[at + k] = True
-    where = np.flatnonzero(needed)
-    flat = np.full(len(words), ABSENT, np.int32)
-    flat[where] = np.fromiter((ids[words[i]] for i in where.tolist()), np.int32, len(where))
+def training_rows(ids: WordRows | TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, targets) of one of every ``stride`` runs of consecutive tokens."""
+    flat, at, _ = lay_out(ids, texts)
+    if stride > 1:
+        at = at[np.arange(len(at)) // RUN % stride == residue]
     return flat[at[:, None] + OFFSETS], flat[at]
 
 
@@ -265,8 +329,8 @@ def token_counts(words: DataFrame) -> tuple[list[bytes], np.ndarray]:
 
     def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            bucket = np.fromiter((NAMED + crc32(w) % (TOKENS - NAMED) if w not in total.value else -1 for w in batch.column("word").to_pylist()), np.int64, batch.num_rows)
-            sums = np.bincount(bucket[bucket >= 0], np.asarray(batch.column("n"))[bucket >= 0], TOKENS)
+            token = np.fromiter((bucket(w) if w not in total.value else -1 for w in batch.column("word").to_pylist()), np.int64, batch.num_rows)
+            sums = np.bincount(token[token >= 0], np.asarray(batch.column("n"))[token >= 0], TOKENS)
             at = np.flatnonzero(sums)
             yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(sums[at].astype(np.int64))], ["token", "n"])
 
@@ -298,22 +362,14 @@ def byte_pairs(words: DataFrame, named: list[bytes]) -> np.ndarray:
     return np.log(counts / counts.sum(axis=1)[:, None])
 
 
-class Spelling(dict):
-    """Log-probability of a word's bytes for one Python worker; nothing for words with a name. Kept up to a limit."""
+class Spelling:
+    """Log-probability of a word's bytes; nothing for words with a name."""
 
-    def __init__(self, named: list[bytes], pairs: np.ndarray, limit: int = 2 * CACHE_WORDS):
-        super().__init__((w, 0.0) for w in named)
-        self.limit, self.pairs = limit, pairs.tolist()
+    def __init__(self, named: list[bytes], pairs: np.ndarray):
+        self.named, self.pairs = set(named), pairs.ravel()
 
-    def __missing__(self, word: bytes) -> float:
-        total, before = 0.0, END
-        for b in word:
-            total += self.pairs[before][b]
-            before = b
-        total += self.pairs[before][END]
-        if len(self) < self.limit and len(word) < 64:
-            self[word] = total
-        return total
+    def __getitem__(self, word: bytes) -> float:
+        return 0.0 if word in self.named else float(spell([word], self.pairs)[0])
 
 
 def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: int, stride: int = STRIDE) -> WindowNet:
@@ -322,24 +378,26 @@ def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: in
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, start = shared.value
-        ids, trainer = TokenIds(words), Trainer(start)
+        ids, trainer = WordRows(words), Trainer(start)
         used = 0
         for part in slices(batches, "text", 4 * CHUNK_BYTES):
             context, target = training_rows(ids, utf8(part, "text"), residue, stride)
             order = np.random.default_rng(SEED + residue).permutation(len(target))
             for k in range(0, len(order), BATCH):
-                trainer.step(context[order[k : k + BATCH]], target[order[k : k + BATCH]])
+                trainer.step(context.take(order[k : k + BATCH], axis=0), target[order[k : k + BATCH]])
             used += len(target)
         if used:
-            weight = max(1, used // BATCH)
-            values = np.rint(trainer.net.flat().astype(np.float64) * FIXED).astype(np.int64) * weight
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(values), dtype=np.int32)), pa.array(np.r_[weight, values])], ["cell", "value"])
-
-    sums = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "cell int, value long").groupBy("cell").agg(F.sum("value").alias("value")).toArrow()
-    if not sums.num_rows:
+            values = np.rint(trainer.net.flat().astype(np.float64) * FIXED).astype(np.int64) * used
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(values), dtype=np.int32)), pa.array(np.r_[used, values])], ["cell", "value"])
+
+    copies = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "cell int, value long")
+    whole = F.sum(F.col("value").cast("decimal(38,0)"))  # exact in any order and at any number of tokens
+    sums = copies.groupBy("cell").agg(whole.alias("value"))
+    cells = sums.select("cell", F.col("value").cast("double").alias("value")).toArrow()
+    if not cells.num_rows:
         return net
-    order = np.argsort(np.asarray(sums.column("cell")))
-    values = np.asarray(sums.column("value"))[order]
+    order = np.argsort(np.asarray(cells.column("cell")))
+    values = np.asarray(cells.column("value"))[order]
     return net.load(values[1:] / values[0] / FIXED)
 
 
@@ -358,15 +416,14 @@ def score(docs: DataFrame, named: list[bytes], net: WindowNet, pairs: np.ndarray
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, model, spelled = shared.value
-        ids, spelling = TokenIds(words), None if spelled is None else Spelling(words, spelled)
+        table = WordRows(words, spelled)
         for part in slices(batches, "text"):
-            texts = utf8(part, "text")
-            flat, at, sizes = lay_out(ids, texts)
+            stream_, sizes = stream(utf8(part, "text"))
+            rows, at = table.rows(stream_), places(sizes)
+            flat = table.tokens[rows]
             each = [model.log_probs(flat[at[k : k + SCORED, None] + OFFSETS], flat[at[k : k + SCORED]]) for k in range(0, len(at), SCORED)]
-            owner = np.repeat(np.arange(len(sizes)), sizes)
-            total = np.bincount(owner, np.concatenate(each), len(sizes)) if each else np.zeros(len(sizes))
-            if spelling is not None:
-                total = total + np.fromiter((sum(map(spelling.__getitem__, t.split())) for t in texts), np.float64, len(texts))
+            value = table.spelled[rows[at]] + (np.concatenate(each) if each else 0.0)
+            total = np.bincount(np.repeat(np.arange(len(sizes)), sizes), value, len(sizes))
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes), pa.array(total), pa.array(total / np.maximum(sizes, 1))], ["doc_id", "n_tokens", "pseudo_loglik", "per_token"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, slices, utf8
+from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, one_blas_thread, slices, utf8
 
 CLASS = 64
 CLASSES = 64
@@ -377,6 +377,7 @@ def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: in
     shared = docs.sparkSession.sparkContext.broadcast((named, net))  # fixed sizes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        one_blas_thread()
         words, start = shared.value
         ids, trainer = WordRows(words), Trainer(start)
         used = 0
@@ -415,6 +416,7 @@ def score(docs: DataFrame, named: list[bytes], net: WindowNet, pairs: np.ndarray
     shared = docs.sparkSession.sparkContext.broadcast((named, net, pairs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        one_blas_thread()
         words, model, spelled = shared.value
         table = WordRows(words, spelled)
         for part in slices(batches, "text"):
@@ -423,7 +425,7 @@ def score(docs: DataFrame, named: list[bytes], net: WindowNet, pairs: np.ndarray
             flat = table.tokens[rows]
             each = [model.log_probs(flat[at[k : k + SCORED, None] + OFFSETS], flat[at[k : k + SCORED]]) for k in range(0, len(at), SCORED)]
             value = table.spelled[rows[at]] + (np.concatenate(each) if each else 0.0)
-            total = np.bincount(np.repeat(np.arange(len(sizes)), sizes), value, len(sizes))
+            total = np.bincount(np.repeat(np.arange(len(sizes)), sizes), value, len(sizes)).astype(float)  # whole numbers where there is nothing to add
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes), pa.array(total), pa.array(total / np.maximum(sizes, 1))], ["doc_id", "n_tokens", "pseudo_loglik", "per_token"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

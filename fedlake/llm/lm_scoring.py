@@ -20,6 +20,8 @@ by their number of tokens in one distributed sum of fixed-point values. Every
 token is a target exactly once: one round trains on all of them, and more rounds
 (``stride``) would share them out by runs of eight consecutive tokens. The driver
 holds one set of parameters and the frequent words, whatever the corpus' size.
+Words are looked up once: training and scoring read the coded texts, two bytes a
+token, from the shared checkpoint folder.
 
 Defined results: null, empty and blank texts have no tokens and score 0;
 repeated rows train and score again; ties of word frequency go to the word first
@@ -99,17 +101,21 @@ class WindowNet:
 
     def forward(self, context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         p = self.parts
-        seen = p["embed"][context].reshape(len(context), -1)
+        seen = p["embed"].take(context.ravel(), axis=0).reshape(len(context), -1)
         return seen, np.tanh(seen @ p["hidden"] + p["hidden_bias"])
 
     def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
         """log P(target | both sides) of each row."""
         p, safe = self.parts, self.bounded
-        _, h = self.forward(context)
-        cls, within = target // CLASS, target % CLASS
-        out = _log_softmax(h @ p["class"] + p["class_bias"], cls, safe)
-        for c, rows in _by_class(cls):
-            out[rows] += _log_softmax(h[rows] @ p["token"][c] + p["token_bias"][c], within[rows], safe)
+        order = np.argsort((target // CLASS).astype(np.uint8), kind="stable")  # a class is then a slice
+        target = target[order]
+        cls = target // CLASS
+        _, h = self.forward(context.take(order, axis=0))
+        logits = p["token_bias"].take(cls, axis=0)
+        for c, rows in _spans(cls):
+            logits[rows] += h[rows] @ p["token"][c]
+        out = np.empty(len(target), h.dtype)
+        out[order] = _log_softmax(h @ p["class"] + p["class_bias"], cls, safe) + _log_softmax(logits, target % CLASS, safe)
         return out
 
     @property
@@ -123,15 +129,13 @@ class WindowNet:
         """Of the mean negative log-probability."""
         p, safe, n = self.parts, self.bounded, len(target)
         order = np.argsort((target // CLASS).astype(np.uint8), kind="stable")  # a class is then a slice
-        flat, target = context.take(order, axis=0).ravel(), target[order]
+        context, target = context.take(order, axis=0), target[order]
         cls = target // CLASS
-        seen = p["embed"].take(flat, axis=0).reshape(n, -1)
-        h = np.tanh(seen @ p["hidden"] + p["hidden_bias"])
+        seen, h = self.forward(context)
         d = _softmax_error(h @ p["class"] + p["class_bias"], cls, n, safe)
         g = {"class": h.T @ d, "class_bias": d.sum(axis=0)}
         back = d @ p["class"].T
-        edges = np.searchsorted(cls, np.arange(CLASSES + 1)).tolist()
-        spans = [(c, slice(edges[c], edges[c + 1])) for c in range(CLASSES) if edges[c + 1] > edges[c]]
+        spans = _spans(cls)
         logits = p["token_bias"].take(cls, axis=0)
         for c, rows in spans:
             logits[rows] += h[rows] @ p["token"][c]
@@ -144,7 +148,7 @@ class WindowNet:
         back *= 1 - h * h
         g["hidden"], g["hidden_bias"] = seen.T @ back, back.sum(axis=0)
         into = (back @ p["hidden"].T).reshape(-1, WIDTH)
-        key = flat.astype(np.uint16)
+        key = context.ravel().astype(np.uint16)
         order = np.argsort(key, kind="stable")  # by radix
         key = key[order]
         starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
@@ -153,12 +157,10 @@ class WindowNet:
         return {k: g[k] for k in p}
 
 
-def _by_class(cls: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-    order = np.argsort(cls, kind="stable")
-    edges = np.searchsorted(cls[order], np.arange(CLASSES + 1))
-    for c in range(CLASSES):
-        if edges[c + 1] > edges[c]:
-            yield c, order[edges[c] : edges[c + 1]]
+def _spans(cls: np.ndarray) -> list[tuple[int, slice]]:
+    """The classes that occur among rows in order of class, with their rows."""
+    edges = np.searchsorted(cls, np.arange(CLASSES + 1)).tolist()
+    return [(c, slice(edges[c], edges[c + 1])) for c in range(CLASSES) if edges[c + 1] > edges[c]]
 
 
 def _log_softmax(logits: np.ndarray, at: np.ndarray, bounded: bool = False) -> np.ndarray:
@@ -286,14 +288,28 @@ def lay_out(ids: WordRows | TokenIds, texts: list[bytes]) -> tuple[np.ndarray, n
     return np.fromiter(map(ids.__getitem__, words), np.int32, len(words)), places(sizes), sizes
 
 
+def target_places(at: np.ndarray, residue: int, stride: int) -> np.ndarray:
+    """One of every ``stride`` runs of consecutive tokens."""
+    return at[np.arange(len(at)) // RUN % stride == residue] if stride > 1 else at
+
+
 def training_rows(ids: WordRows | TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
-    """(contexts, targets) of one of every ``stride`` runs of consecutive tokens."""
+    """(contexts, targets) of one round."""
     flat, at, _ = lay_out(ids, texts)
-    if stride > 1:
-        at = at[np.arange(len(at)) // RUN % stride == residue]
+    return windows(flat, target_places(at, residue, stride))
+
+
+def windows(flat: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts, targets) of the tokens at these places."""
     return flat[at[:, None] + OFFSETS], flat[at]
 
 
+def shuffled(at: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """The places in a random order of runs, whose neighbours stay together in memory; the last, shorter run comes last."""
+    whole = len(at) // RUN * RUN
+    return np.concatenate([at[:whole].reshape(-1, RUN)[rng.permutation(whole // RUN)].ravel(), at[whole:]])
+
+
 OFFSETS = np.array([k for k in range(-WINDOW, WINDOW + 1) if k])
 
 
@@ -372,29 +388,59 @@ class Spelling:
         return 0.0 if word in self.named else float(spell([word], self.pairs)[0])
 
 
+def code(docs: DataFrame, named: list[bytes], pairs: np.ndarray | None = None) -> DataFrame:
+    """(doc_id, tokens, spelled): the token of every word in 16 bits each, and the summed spelling of the words without a name."""
+    shared = docs.sparkSession.sparkContext.broadcast((named, pairs))  # fixed sizes
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = WordRows(*shared.value)
+        for part in slices(batches, "text"):
+            words = [t.split() for t in utf8(part, "text")]
+            sizes = np.fromiter(map(len, words), np.int64, len(words))
+            rows = table.rows(list(chain.from_iterable(words)))
+            ends = np.cumsum(sizes)
+            tokens, spelled = table.tokens[rows].astype("<u2"), np.r_[0.0, np.cumsum(table.spelled[rows])]
+            cells = [tokens[b - n : b].tobytes() for b, n in zip(ends.tolist(), sizes.tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(cells, pa.binary()), pa.array(spelled[ends] - spelled[ends - sizes])], ["doc_id", "tokens", "spelled"])
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return rows.mapInArrow(run, "doc_id long, tokens binary, spelled double")
+
+
+def coded_stream(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(flat ids with absent neighbours around every text, positions of tokens, tokens per text) of coded texts."""
+    cells = part.column("tokens").to_pylist()
+    sizes = np.fromiter(map(len, cells), np.int64, len(cells)) // 2
+    at = places(sizes)
+    flat = np.full(int(sizes.sum()) + WINDOW * (len(cells) + 1), ABSENT, np.int32)
+    flat[at] = np.frombuffer(b"".join(cells), "<u2")
+    return flat, at, sizes
+
+
 def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: int, stride: int = STRIDE) -> WindowNet:
     """One round over all documents: local training in every split, then the average weighted by tokens."""
-    shared = docs.sparkSession.sparkContext.broadcast((named, net))  # fixed sizes
+    return train_coded(code(docs, named), net, residue, stride)
+
+
+def train_coded(coded: DataFrame, net: WindowNet, residue: int, stride: int = STRIDE) -> WindowNet:
+    shared = coded.sparkSession.sparkContext.broadcast(net)  # a fixed size
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         one_blas_thread()
-        words, start = shared.value
-        ids, trainer = WordRows(words), Trainer(start)
-        used = 0
-        for part in slices(batches, "text", 4 * CHUNK_BYTES):
-            context, target = training_rows(ids, utf8(part, "text"), residue, stride)
-            order = np.random.default_rng(SEED + residue).permutation(len(target))
-            for k in range(0, len(order), BATCH):
-                trainer.step(context.take(order[k : k + BATCH], axis=0), target[order[k : k + BATCH]])
-            used += len(target)
+        trainer, used = Trainer(shared.value), 0
+        for part in slices(batches, "tokens", CHUNK_BYTES):
+            flat, at, _ = coded_stream(part)
+            at = shuffled(target_places(at, residue, stride), np.random.default_rng(SEED + residue))
+            for k in range(0, len(at), BATCH):
+                trainer.step(*windows(flat, at[k : k + BATCH]))
+            used += len(at)
         if used:
             values = np.rint(trainer.net.flat().astype(np.float64) * FIXED).astype(np.int64) * used
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(values), dtype=np.int32)), pa.array(np.r_[used, values])], ["cell", "value"])
 
-    copies = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "cell int, value long")
     whole = F.sum(F.col("value").cast("decimal(38,0)"))  # exact in any order and at any number of tokens
-    sums = copies.groupBy("cell").agg(whole.alias("value"))
-    cells = sums.select("cell", F.col("value").cast("double").alias("value")).toArrow()
+    sums = coded.select("tokens").mapInArrow(run, "cell int, value long").groupBy("cell").agg(whole.alias("value"))
+    cells = sums.select("cell", F.col("value").cast("double").alias("value")).toArrow()  # one row a parameter
     if not cells.num_rows:
         return net
     order = np.argsort(np.asarray(cells.column("cell")))
@@ -403,34 +449,42 @@ def train_round(docs: DataFrame, named: list[bytes], net: WindowNet, residue: in
 
 
 def train(docs: DataFrame, rounds: int = ROUNDS, stride: int = STRIDE) -> tuple[list[bytes], WindowNet, np.ndarray]:
+    """(named words, network, spelling) of all documents."""
+    named, pairs, net, _ = _trained(docs, rounds, stride)
+    return named, net, pairs
+
+
+def _trained(docs: DataFrame, rounds: int, stride: int) -> tuple[list[bytes], np.ndarray, WindowNet, DataFrame]:
     words = counted_words(docs)
     named, frequency = token_counts(words)
+    pairs = byte_pairs(words, named)
+    coded = cut(code(docs, named, pairs))  # about a third of the texts' size; the rounds and the scores read this
     net = WindowNet.start(frequency)
     for k in range(rounds):
-        net = train_round(docs, named, net, k % stride, stride)
-    return named, net, byte_pairs(words, named)
+        net = train_coded(coded, net, k % stride, stride)
+    return named, pairs, net, coded
 
 
 def score(docs: DataFrame, named: list[bytes], net: WindowNet, pairs: np.ndarray | None = None) -> DataFrame:
     """(doc_id, n_tokens, pseudo_loglik, per_token): every token of every text is predicted, and with ``pairs`` spelled where it has no name."""
-    shared = docs.sparkSession.sparkContext.broadcast((named, net, pairs))
+    return score_coded(code(docs, named, pairs), net)
+
+
+def score_coded(coded: DataFrame, net: WindowNet) -> DataFrame:
+    shared = coded.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         one_blas_thread()
-        words, model, spelled = shared.value
-        table = WordRows(words, spelled)
-        for part in slices(batches, "text"):
-            stream_, sizes = stream(utf8(part, "text"))
-            rows, at = table.rows(stream_), places(sizes)
-            flat = table.tokens[rows]
-            each = [model.log_probs(flat[at[k : k + SCORED, None] + OFFSETS], flat[at[k : k + SCORED]]) for k in range(0, len(at), SCORED)]
-            value = table.spelled[rows[at]] + (np.concatenate(each) if each else 0.0)
-            total = np.bincount(np.repeat(np.arange(len(sizes)), sizes), value, len(sizes)).astype(float)  # whole numbers where there is nothing to add
+        for part in slices(batches, "tokens", CHUNK_BYTES // 4):
+            flat, at, sizes = coded_stream(part)
+            each = [shared.value.log_probs(*windows(flat, at[k : k + SCORED])) for k in range(0, len(at), SCORED)]
+            owner = np.repeat(np.arange(len(sizes)), sizes)
+            total = np.asarray(part.column("spelled")) + np.bincount(owner, np.concatenate(each) if each else None, len(sizes))
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes), pa.array(total), pa.array(total / np.maximum(sizes, 1))], ["doc_id", "n_tokens", "pseudo_loglik", "per_token"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, n_tokens long, pseudo_loglik double, per_token double")
+    return coded.mapInArrow(run, "doc_id long, n_tokens long, pseudo_loglik double, per_token double")
 
 
 def train_and_score(docs: DataFrame) -> DataFrame:
-    return score(docs, *train(docs))
+    *_, net, coded = _trained(docs, ROUNDS, STRIDE)
+    return score_coded(coded, net)

@@ -1,8 +1,9 @@
 """Nearest neighbours of a stated query set by a block matrix join with int8 tiles.
 
 Queries travel in blocks of bounded size; every block is one pass over all
-candidates. A task multiplies the int8 codes of a block and of a tile of
-candidates (as float32, where sums of such products are exact integers), which
+candidates, and is released before the next one is gathered. A task multiplies
+the int8 codes of a block and of a tile of candidates (as float32 over at most
+1,024 components at a time, where sums of such products are exact integers), which
 gives each cosine with a proven error bound from the two quantisation residuals.
 Pairs whose upper bound reaches the best lower bounds so far are recomputed in
 double precision on the original vectors and merged into one heap a query; the
@@ -32,9 +33,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from fedlake.llm.runtime import cut, one_blas_thread
+
 #: Queries of one block: 4,096 of 64 doubles are 2 MB to broadcast.
 QUERY_BLOCK = 4096
 TILE_ROWS = 2048
+#: Components whose code products sum exactly in single precision: 1,024 times 127 squared is under 2^24.
+EXACT = 1024
 SLACK = 1e-9
 
 
@@ -68,8 +73,11 @@ class Codes:
 
 def tile_bounds(queries: Codes, tile: Codes) -> tuple[np.ndarray, np.ndarray]:
     """Approximate cosines of all pairs and how far each may be off."""
-    product = queries.codes.astype(np.float32) @ tile.codes.astype(np.float32).T
-    near = product.astype(np.float64) * queries.scale[:, None] * tile.scale[None, :]
+    product = np.zeros((len(queries.codes), len(tile.codes)))
+    for k in range(0, queries.codes.shape[1], EXACT):
+        part = slice(k, k + EXACT)
+        product += queries.codes[:, part].astype(np.float32) @ tile.codes[:, part].astype(np.float32).T
+    near = product * queries.scale[:, None] * tile.scale[None, :]
     off = tile.residual[None, :] + queries.residual[:, None] * (1 + tile.residual[None, :]) + SLACK
     return near, off
 
@@ -99,9 +107,13 @@ class Search:
         tile = Codes(vectors)
         near, off = tile_bounds(self.codes, tile)
         floor = self.floor
-        if len(vectors) > self.k:  # one of the k + 1 best may be the query itself
-            low = np.partition(near - off, len(vectors) - self.k - 1, axis=1)[:, len(vectors) - self.k - 1]
-            floor = np.maximum(floor, low)
+        first = np.array([n[0] for n in names])
+        order = np.argsort(first, kind="stable")
+        starts = np.flatnonzero(np.r_[True, np.diff(first[order]) > 0])
+        if len(starts) > self.k:  # k + 1 different ids reach this bound, and one of them may be the query itself
+            by_id = near - off if len(starts) == len(first) else np.maximum.reduceat((near - off)[:, order], starts, axis=1)
+            at = len(starts) - self.k - 1
+            floor = np.maximum(floor, np.partition(by_id, at, axis=1)[:, at])
         row, col = np.nonzero(near + off >= floor[:, None])
         score = running_dot(self.codes.vectors[row], vectors[col]) / (self.codes.norms[row] * tile.norms[col])
         for q, c, s in zip(row.tolist(), col.tolist(), score.tolist(), strict=True):
@@ -159,6 +171,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 5, query_block: int =
         shared = spark.sparkContext.broadcast(held)  # about query_block vectors, whatever the table's size
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            one_blas_thread()
             searches = {size: Search(ids, m, k) for size, (ids, m) in shared.value.items()}
             for batch in batches:
                 for start in range(0, batch.num_rows, TILE_ROWS):
@@ -171,7 +184,9 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 5, query_block: int =
                 q, v, s = zip(*found, strict=True)
                 yield pa.RecordBatch.from_arrays([pa.array(q, pa.int64()), pa.array(v, pa.int64()), pa.array(s, pa.float64())], ["query_id", "vec_id", "score"])
 
-        return rows.mapInArrow(run, "query_id long, vec_id long, score double")
+        found = cut(rows.mapInArrow(run, "query_id long, vec_id long, score double"))  # k rows a query and task
+        shared.destroy()
+        return found
 
     found = reduce(DataFrame.unionAll, [one_pass(b) for b in range(blocks)])
     best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))

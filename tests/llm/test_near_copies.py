@@ -42,3 +42,36 @@ def test_stage_drops_what_brute_force_links(spark):
 def test_joined_pairs_are_exact():
     a = np.arange(100, dtype=np.uint64)
     assert near_copies.similar(a, a[:80]) and not near_copies.similar(a, a[:79])
+
+
+def test_long_lists_are_compared_across_parts(spark, monkeypatch):
+    r = np.random.default_rng(8)
+    base = [f"w{k}" for k in range(120)]
+    texts = []
+    for k in range(60):  # one family of very different closeness: links, and pairs that share lists without one
+        words = list(base)
+        for at in r.integers(0, 120, int(r.integers(0, 9))):
+            words[at] = f"x{r.integers(1 << 30)}"
+        texts.append(" ".join(words))
+    sets = [set(near_copies.shingle_set(t.encode()).tolist()) for t in texts]
+    group = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if group[i] != group[j] and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                low, high = sorted((group[i], group[j]))
+                group = [low if g == high else g for g in group]
+    assert 1 < len(set(group)) < 50
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    for members in (3, 7, 256):
+        monkeypatch.setattr(near_copies, "PART_MEMBERS", members)
+        assert {x.doc_id: x.component_id for x in near_copies.near_groups(docs).collect()} == dict(enumerate(group))
+
+
+def test_texts_of_one_id_stand_for_themselves(spark):
+    rows = [(1, "alpha beta gamma", "u"), (1, "other words here", "u"), (1, "alpha beta gamma", "u"), (2, "alpha beta gamma", "v"), (None, "alpha beta gamma", "w"), (None, None, "w"), (3, None, "z"), (4, "", "z")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, first string")
+    kept = near_copies.one_per_group(docs)
+    assert kept.columns == docs.columns
+    got = sorted(((r.doc_id, r.text) for r in kept.collect()), key=str)
+    assert got == sorted([(1, "alpha beta gamma"), (1, "other words here"), (None, "alpha beta gamma"), (None, None), (3, None)], key=str)
+    assert near_copies.one_per_group(docs.limit(0)).count() == 0

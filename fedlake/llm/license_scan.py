@@ -1,15 +1,18 @@
 """License scans by conditional compression.
 
 Candidate blocks are the lines of a text around words that license wordings
-can't do without. Every distinct block is compressed alone and once with each
+can't do without. A block of any length is cut into overlapping windows, twice as
+long as the templates that they are held against, so that every notice lies whole
+in one of them. Every distinct window is compressed alone and once with each
 template as a zstandard raw dictionary; the bytes that the dictionary saves are
 taken as a share of the template's own compressed size. All templates that reach
-a least share are confirmed by exact wording differences: the words of block and template are aligned, and what the
-block lacks, adds or changes inside the aligned span decides between ``exact``,
-``modified`` and ``none``.
+a least share are confirmed by exact wording differences: the words of window and
+template are aligned, and what the window lacks, adds or changes inside the
+aligned span decides between ``exact``, ``modified`` and ``none``.
 
 Templates are the public short notices and opening grants of common licenses;
-the list is a parameter.
+the list is a parameter. Templates without a usual license word are sought around
+the words that they begin with.
 
 Defined results: null and empty texts have no candidates; repeated blocks count
 each time; ties between templates go to the earlier template; an empty table
@@ -20,7 +23,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from difflib import SequenceMatcher
 
 import pyarrow as pa
@@ -54,8 +57,12 @@ TEMPLATES: tuple[tuple[str, str], ...] = (
 )
 ANCHOR = re.compile(r"licen[cs]e|copyright|permission|redistribut|public domain|free software|rights reserved|creative commons", re.I)
 _WORD = re.compile(r"\w+(?:[.\-/+]\w+)*")
+_SPACE = re.compile(r"\s")
 #: A line joins a block if an anchor line is at most so many lines away.
 REACH = 2
+#: Characters of the shortest windows' step, and how much longer than its template a notice may be; steps double.
+STEP = 256
+LONGER = 1.3
 #: Saved share from which a template is confirmed by wording.
 MIN_SAVED = 0.1
 #: Wording verdicts: share of the template's words found, and differing words per template word.
@@ -66,7 +73,7 @@ LEVEL = 3
 
 @dataclass(frozen=True)
 class Wording:
-    """How a block words a template, and the words of the block from the first to the last match."""
+    """How a block words a template, and the place of its words from the first to the last match."""
 
     missing: int
     added: int
@@ -81,14 +88,20 @@ class Wording:
         return "modified" if self.missing <= (1 - MIN_FOUND) * self.words + 1e-9 and self.missing + self.added <= MAX_CHANGED * self.words + 1e-9 else "none"
 
 
-def blocks(text: str) -> list[tuple[int, str]]:
+def anchors(templates: tuple[tuple[str, str], ...]) -> re.Pattern:
+    """Words around which the templates are sought."""
+    others = [r"\W+".join(map(re.escape, _WORD.findall(t)[:3])) for _, t in templates if not ANCHOR.search(t) and _WORD.search(t)]
+    return re.compile("|".join([ANCHOR.pattern, *others]), re.I)
+
+
+def blocks(text: str, anchor: re.Pattern = ANCHOR) -> list[tuple[int, str]]:
     """(first line, text) of the candidate blocks: anchor lines with the lines near them, merged where they meet."""
-    if not ANCHOR.search(text):
+    if not anchor.search(text):
         return []
     lines = text.split("\n")
     near: set[int] = set()
     for k, line in enumerate(lines):
-        if ANCHOR.search(line):
+        if anchor.search(line):
             near.update(range(max(0, k - REACH), min(len(lines), k + REACH + 1)))
     out, run = [], []
     for k in sorted(near):
@@ -101,6 +114,16 @@ def blocks(text: str) -> list[tuple[int, str]]:
     return out
 
 
+def windows(block: str, size: int) -> list[tuple[int, str]]:
+    """(start, text) of overlapping stretches: what is no longer than ``size`` lies whole in one. They begin at white space where there is some."""
+    edges = [0]
+    while len(block) - edges[-1] > 2 * size:
+        at = edges[-1] + size
+        space = _SPACE.search(block, at, at + size // 2)
+        edges.append(space.start() if space else at)
+    return [(a, block[a : edges[k + 2] if k + 2 < len(edges) else len(block)]) for k, a in enumerate(edges[: max(1, len(edges) - 1)])]
+
+
 def wording(block: str, template: str) -> Wording:
     """Words of the template that the block lacks, and words that it adds between the first and last match."""
     ours, theirs = [_WORD.findall(x.lower()) for x in (block, template)]
@@ -127,18 +150,37 @@ class Scanner:
 
     def __init__(self, templates: tuple[tuple[str, str], ...] = TEMPLATES):
         self.templates = templates
+        self.anchor = anchors(templates)
         self.alone = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False)
         raw = [zstandard.ZstdCompressionDict(t.encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT) for _, t in templates]
         self.given = [zstandard.ZstdCompressor(level=LEVEL, dict_data=d, write_content_size=False) for d in raw]
         self.sizes = [len(self.alone.compress(t.encode())) for _, t in templates]
+        self.steps: dict[int, list[int]] = {}
+        for k, (_, t) in enumerate(templates):
+            step = STEP
+            while step < LONGER * len(t):
+                step *= 2
+            self.steps.setdefault(step, []).append(k)
         self.cache = WordCache(20_000)
 
-    def reductions(self, block: str) -> list[tuple[int, float, int]]:
+    def reductions(self, block: str, which: list[int] | None = None) -> list[tuple[int, float, int]]:
         """(bytes saved, their share of the template's own size, template number)."""
-        data = block.encode()
+        data = block.encode("utf-8", "replace")
         alone = len(self.alone.compress(data))
-        saved = [alone - len(c.compress(data)) for c in self.given]
-        return [(s, s / n, k) for k, (s, n) in enumerate(zip(saved, self.sizes, strict=True))]
+        which = list(range(len(self.given))) if which is None else which
+        saved = [(alone - len(self.given[k].compress(data)), k) for k in which]
+        return [(s, s / self.sizes[k], k) for s, k in saved]
+
+    def _confirmed(self, window: str, step: int) -> list[tuple[int, float, Wording]]:
+        """Templates of one step whose wording a window confirms."""
+        key = (step, window)
+        if key not in self.cache:
+            if len(self.cache) > self.cache.limit:
+                self.cache.clear()
+            found = self.reductions(window, self.steps[step]) if self.anchor.search(window) else []
+            likely = [(k, share, wording(window, self.templates[k][1])) for _, share, k in found if share >= MIN_SAVED]
+            self.cache[key] = [x for x in likely if x[2].verdict != "none"]
+        return self.cache[key]
 
     def match(self, block: str) -> list[tuple[str, float, Wording]]:
         """(license, saved share, wording) of the templates whose wording confirms them.
@@ -147,20 +189,20 @@ class Scanner:
         lies inside that of a better one: exact before modified, then by words
         found, then by fewer changes.
         """
-        if block not in self.cache:
-            if len(self.cache) > self.cache.limit:
-                self.cache.clear()
-            found = self.reductions(block)
-            likely = {k: share for _, share, k in found if share >= MIN_SAVED}
-            sure = [(k, share, w) for k, share in sorted(likely.items()) if (w := wording(block, self.templates[k][1])).verdict != "none"]
-            ranked = sorted(sure, key=lambda x: (x[2].verdict != "exact", x[2].missing - x[2].words, x[2].missing + x[2].added, x[0]))
-            kept: list[tuple[int, float, Wording]] = []
-            for x in ranked:
-                if not any(y[2].start <= x[2].start and x[2].stop <= y[2].stop for y in kept):
-                    kept.append(x)
-            kept.sort(key=lambda x: x[0])
-            self.cache[block] = [(self.templates[k][0], share, w) for k, share, w in kept]
-        return self.cache[block]
+        sure: list[tuple[int, float, Wording]] = []
+        for step in self.steps:
+            before, last = 0, 0
+            for start, window in windows(block, step):
+                if found := self._confirmed(window, step):
+                    before, last = before + len(_WORD.findall(block, last, start)), start
+                    sure += [(k, share, replace(w, start=w.start + before, stop=w.stop + before)) for k, share, w in found]
+        ranked = sorted(sure, key=lambda x: (x[2].verdict != "exact", x[2].missing - x[2].words, x[2].missing + x[2].added, x[0]))
+        kept: list[tuple[int, float, Wording]] = []
+        for x in ranked:
+            if not any(y[2].start <= x[2].start and x[2].stop <= y[2].stop for y in kept):
+                kept.append(x)
+        kept.sort(key=lambda x: (x[0], x[2].start))
+        return [(self.templates[k][0], share, w) for k, share, w in kept]
 
 
 def scan_blocks(docs: DataFrame, templates: tuple[tuple[str, str], ...] = TEMPLATES) -> DataFrame:
@@ -171,7 +213,7 @@ def scan_blocks(docs: DataFrame, templates: tuple[tuple[str, str], ...] = TEMPLA
         for part in slices(batches, "text"):
             rows = []
             for doc_id, text in zip(part.column("doc_id").to_pylist(), strings(part, "text"), strict=True):
-                for line, block in blocks(text):
+                for line, block in blocks(text, scanner.anchor):
                     for name, saved, words in scanner.match(block) or [(None, 0.0, Wording(0, 0, 0))]:
                         rows.append((doc_id, line, name, saved, words.missing, words.added, words.verdict if name else "none"))
             if rows:
@@ -191,7 +233,7 @@ def scan_documents(docs: DataFrame, templates: tuple[tuple[str, str], ...] = TEM
         for part in slices(batches, "text"):
             out = []
             for text in strings(part, "text"):
-                found = [scanner.match(b) for _, b in blocks(text)]
+                found = [scanner.match(b) for _, b in blocks(text, scanner.anchor)]
                 sure = [h for hits in found for h in hits]
                 best = max(sure, key=lambda h: (h[2].verdict == "exact", h[1]), default=(None, 0.0, Wording(0, 0, 0)))
                 out.append((len(found), sum(map(bool, found)), ",".join(sorted({h[0] for h in sure})), best[2].verdict if sure else "none", best[1], best[2].missing, best[2].added))

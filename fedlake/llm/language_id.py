@@ -8,9 +8,9 @@ expectation maximisation on word counts of all training documents: one
 distributed count by language and word, then each round sums expected piece
 counts (forward times backward) over that table.
 
-Words are lower-cased runs of letters with a word mark before them. A letter
-that no piece holds costs a fixed probability in every language. Runs longer
-than 48 letters are scored as consecutive stretches of 48.
+Words are lower-cased runs of letters, however long, with a word mark before
+them. A letter that no piece holds costs a fixed probability in every language.
+Recursions carry their scale apart, so that no run is too long or too unlikely.
 
 Defined results: null texts and texts without letters are ``und`` with score 0;
 equal likelihoods go to the language first by code point; training rows with
@@ -37,12 +37,14 @@ from fedlake.llm.longtable import LongTable
 from fedlake.llm.runtime import CACHE_WORDS, cut, slices, strings
 
 MARK = "▁"
-STRETCH = 48
 #: Probability of a letter outside the vocabulary, and added mass of each piece.
 FOREIGN = 1e-7
 SMOOTH = 0.05
-#: Words whose expected counts are computed together.
+#: Words and letters whose recursions run together.
 WORD_ROWS = 20_000
+LETTER_ROWS = 1 << 19
+#: Steps of a recursion after which it is scaled.
+SCALED = 8
 #: Languages that the model may hold; more is an error of the labels.
 MAX_LANGUAGES = 1000
 LETTERS = regex.compile(r"\p{L}+")
@@ -50,11 +52,8 @@ UNKNOWN = "und"
 
 
 def stretches(token: str) -> list[str]:
-    """The letter runs of a whitespace token, lower-cased, marked, none longer than a stretch."""
-    out = []
-    for run in LETTERS.findall(token.lower()):
-        out += [(MARK if k == 0 else "") + run[k : k + STRETCH] for k in range(0, len(run), STRETCH)]
-    return out
+    """The letter runs of a whitespace token, lower-cased and marked."""
+    return [MARK + run for run in LETTERS.findall(token.lower())]
 
 
 def letter_pieces(pieces: list[str]) -> dict[str, int]:
@@ -104,59 +103,95 @@ class PieceTrie:
 
 @dataclass
 class PieceGrid:
-    """Pieces found in words of one length, and the recursions over them."""
+    """Pieces found in words of one length, and the recursions over them.
+
+    prob: pieces + 1 (the last is the foreign letter) by languages; id -1 picks the last.
+    """
 
     ids: np.ndarray
 
-    def forward(self, prob: np.ndarray) -> np.ndarray:
-        """prob: pieces + 1 (the last is the foreign letter) by languages; alpha[w, i, l] sums all ways to spell the first i characters."""
+    @cached_property
+    def lengths(self) -> list[list[int]]:
+        """For each place, the lengths less one of the pieces of two characters or more that some word has there."""
+        found = (self.ids >= 0).any(axis=0)
+        return [(np.flatnonzero(row[1:]) + 1).tolist() for row in found]
+
+    def log_likelihood(self, prob: np.ndarray) -> np.ndarray:
+        """Log of the sum over all ways to spell each word, by language; only the last few sums are held."""
         n, size, width = self.ids.shape
-        alpha = np.zeros((n, size + 1, prob.shape[1]))
-        alpha[:, 0] = 1
+        ring = np.zeros((width + 1, n, prob.shape[1]))
+        ring[0] = 1
+        scale = np.zeros((n, prob.shape[1]))
+        ending: list[list[int]] = [[] for _ in range(size + 1)]
+        for start, longer in enumerate(self.lengths):
+            for k in longer:
+                ending[start + k + 1].append(k)
         for end in range(1, size + 1):
-            for k in range(min(width, end)):
-                start = end - k - 1
-                ids = self.ids[:, start, k]
-                if k == 0:
-                    alpha[:, end] += alpha[:, start] * prob[ids]  # -1 picks the foreign letter
-                elif (at := np.flatnonzero(ids >= 0)).size:
-                    alpha[at, end] += alpha[at, start] * prob[ids[at]]
-        return alpha
-
-    def backward(self, prob: np.ndarray) -> np.ndarray:
+            now = ring[end % (width + 1)]
+            np.multiply(ring[(end - 1) % (width + 1)], prob[self.ids[:, end - 1, 0]], out=now)
+            for k in ending[end]:
+                ids = self.ids[:, end - k - 1, k]
+                at = np.flatnonzero(ids >= 0)
+                now[at] += ring[(end - k - 1) % (width + 1)][at] * prob[ids[at]]
+            if end % SCALED == 0:
+                most = ring.max(axis=0)
+                ring /= most
+                scale += np.log(most)
+        return np.log(ring[size % (width + 1)]) + scale
+
+    def _sums(self, prob: np.ndarray, forward: bool) -> tuple[np.ndarray, np.ndarray]:
+        """(sums, their log scales) at every boundary for one distribution: over spellings of what lies before it, or after it."""
         n, size, width = self.ids.shape
-        beta = np.zeros((n, size + 1, prob.shape[1]))
-        beta[:, size] = 1
-        for start in range(size - 1, -1, -1):
-            for k in range(min(width, size - start)):
-                ids = self.ids[:, start, k]
-                if k == 0:
-                    beta[:, start] += prob[ids] * beta[:, start + 1]
-                elif (at := np.flatnonzero(ids >= 0)).size:
-                    beta[at, start] += prob[ids[at]] * beta[at, start + k + 1]
-        return beta
+        sums, scale = np.zeros((size + 1, n)), np.zeros((size + 1, n))
+        first, step = (0, 1) if forward else (size, -1)
+        sums[first] = 1
+        ending: list[list[int]] = [[] for _ in range(size + 1)]
+        for start, longer in enumerate(self.lengths):
+            for k in longer:
+                ending[start + k + 1 if forward else start].append(k)
+        for done in range(1, size + 1):
+            here = first + step * done
+            start = here - 1 if forward else here
+            sums[here] = sums[here - step] * prob[self.ids[:, start, 0]]
+            for k in ending[here]:
+                ids = self.ids[:, here - k - 1 if forward else here, k]
+                at = np.flatnonzero(ids >= 0)
+                sums[here, at] += sums[here - step * (k + 1), at] * prob[ids[at]]
+            scale[here] = scale[here - step]
+            if done % SCALED == 0:  # the last ``width`` sums share a scale, as later ones add them up
+                last = slice(max(0, here - width), here + 1) if forward else slice(here, here + width + 1)
+                most = sums[last].max(axis=0)
+                sums[last] /= most
+                scale[last] = scale[here] + np.log(most)
+        return sums, scale
 
     def expected(self, prob: np.ndarray, weight: np.ndarray) -> np.ndarray:
         """Weighted expected uses of each piece (last row: foreign letters), for one distribution (one column)."""
-        n, size, width = self.ids.shape
-        alpha, beta = self.forward(prob)[:, :, 0], self.backward(prob)[:, :, 0]
-        scale = weight / np.maximum(alpha[:, size], 1e-300)
+        n, size, _ = self.ids.shape
+        prob = prob[:, 0]
+        alpha, before = self._sums(prob, True)
+        beta, after = self._sums(prob, False)
+        whole = np.log(alpha[size]) + before[size]
         out = np.zeros(len(prob))
-        for start in range(size):
-            for k in range(min(width, size - start)):
+        for start, longer in enumerate(self.lengths):
+            for k in [0, *longer]:
                 ids = self.ids[:, start, k]
                 at = np.arange(n) if k == 0 else np.flatnonzero(ids >= 0)
-                if at.size:
-                    uses = alpha[at, start] * prob[ids[at], 0] * beta[at, start + k + 1] * scale[at]
-                    out += np.bincount(ids[at] % len(prob), uses, len(prob))
+                ratio = np.exp(before[start, at] + after[start + k + 1, at] - whole[at])
+                uses = alpha[start, at] * prob[ids[at]] * beta[start + k + 1, at] * ratio * weight[at]
+                out += np.bincount(ids[at] % len(prob), uses, len(prob))
         return out
 
 
-def by_length(words: list[str]) -> dict[int, list[int]]:
+def by_length(words: list[str], columns: int = 1) -> Iterator[list[int]]:
+    """Places of words of one length, as many at a time as the recursions of ``columns`` languages may hold."""
     groups: dict[int, list[int]] = {}
     for k, w in enumerate(words):
         groups.setdefault(len(w), []).append(k)
-    return groups
+    for size, at in groups.items():
+        rows = max(1, min(WORD_ROWS, LETTER_ROWS // size, 8 * LETTER_ROWS // (24 * columns)))
+        for k in range(0, len(at), rows):
+            yield at[k : k + rows]
 
 
 @dataclass
@@ -175,11 +210,8 @@ class LanguageModel:
     def word_scores(self, words: list[str]) -> np.ndarray:
         """Log-likelihood of each marked word by language."""
         out = np.zeros((len(words), len(self.languages)))
-        for at in by_length(words).values():
-            for k in range(0, len(at), WORD_ROWS):
-                rows = at[k : k + WORD_ROWS]
-                alpha = PieceGrid(self.trie.grid([words[i] for i in rows])).forward(self.prob)
-                out[rows] = np.log(np.maximum(alpha[:, -1], 1e-300))
+        for rows in by_length(words, len(self.languages)):
+            out[rows] = PieceGrid(self.trie.grid([words[i] for i in rows])).log_likelihood(self.prob)
         return out
 
 
@@ -226,13 +258,12 @@ def _expected(words: DataFrame, model: LanguageModel) -> dict[tuple[str, int], f
         for batch in batches:
             langs = np.array([place[x] for x in batch.column("lang").to_pylist()], np.int64)
             texts, n = batch.column("word").to_pylist(), np.asarray(batch.column("n"), dtype=float)
-            for at in by_length(texts).values():
-                for k in range(0, len(at), WORD_ROWS):
-                    rows = np.array(at[k : k + WORD_ROWS])
-                    grid = PieceGrid(m.trie.grid([texts[i] for i in rows]))
-                    for lang in np.unique(langs[rows]):
-                        mine = langs[rows] == lang
-                        total[:, lang] += PieceGrid(grid.ids[mine]).expected(m.prob[:, [lang]], n[rows][mine])
+            for at in by_length(texts):
+                rows = np.array(at)
+                grid = PieceGrid(m.trie.grid([texts[i] for i in rows]))
+                for lang in np.unique(langs[rows]):
+                    mine = langs[rows] == lang
+                    total[:, lang] += PieceGrid(grid.ids[mine]).expected(m.prob[:, [lang]], n[rows][mine])
         piece, lang = np.nonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(piece.astype(np.int32)), pa.array(lang.astype(np.int32)), pa.array(total[piece, lang])], ["piece", "lang", "uses"])
 

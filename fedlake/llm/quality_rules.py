@@ -2,12 +2,14 @@
 
 Base rules reject very short and very repetitive texts. The others become
 transformed statistic vectors, and every group of language and source gets a
-minimum-covariance-determinant estimate of their centre and scatter: from a
-start at medians and quartile widths, concentration steps alternate between the
-covariance of the three quarters of rows nearest to the centre and distances
-under it; a reweighted estimate over the rows inside the 97.5 % ellipsoid
-follows. A document is rejected if its squared Mahalanobis distance exceeds the
-chi-square quantile of ``level``.
+minimum-covariance-determinant estimate of their centre and scatter. Four fixed
+starts (quartile widths around the median and both quartiles, and the plain
+moments) each take concentration steps, which alternate between the covariance of
+the three quarters of rows nearest to the centre and distances under it, until no
+determinant changes any more. The start with the smallest determinant wins; a
+reweighted estimate over the rows inside the 97.5 % ellipsoid follows. A document
+is rejected if its squared Mahalanobis distance exceeds the chi-square quantile
+of ``level``.
 
 All steps are sums and fixed-bin histograms by group (summed before the
 shuffle), so no group is ever gathered and results don't depend on the
@@ -46,12 +48,14 @@ FEATURES = (("x_word_length", 0.20), ("x_symbols", 0.05), ("x_dup_lines", 0.10),
 NAMES = [n for n, _ in FEATURES]
 FLOORS = [f for _, f in FEATURES]
 KEEP_SHARE = 0.75
-STEPS = 4
+#: Concentration steps at most, and the change of a log determinant that ends them.
+STEPS = 30
+SETTLED = 1e-6
 LEVEL = 0.999999
 MIN_GROUP = 50
 #: Bins of a floor's width by which medians and quartiles are found, and bins of a doubling of the squared distance.
 VALUE_BINS = 16
-DISTANCE_BINS = 64
+DISTANCE_BINS = 256
 #: Tables of one short row per group are broadcast up to this many groups; larger ones are joined by shuffle.
 BROADCAST_GROUPS = 20_000
 _CONTINUED = bytes(range(0x80, 0xC0))
@@ -212,16 +216,22 @@ def _quantiles(binned: DataFrame, keys: list[str], shares: dict[str, float]) ->
     return summed.groupBy(*keys).agg(*[F.min(F.when(F.col("upto") >= F.col("total") * share, F.col("bin"))).alias(name) for name, share in shares.items()])
 
 
-def _start(rows: DataFrame) -> DataFrame:
-    """Per cell a model row from medians and quartile widths."""
+def _starts(rows: DataFrame) -> DataFrame:
+    """Per cell and start a model row: diagonal scatter of quartile widths around three centres, and mean and covariance."""
     parts = F.array(*[F.struct(F.lit(k).alias("k"), F.floor(F.col(n) * (VALUE_BINS / f)).alias("bin")) for k, (n, f) in enumerate(FEATURES)])
     binned = rows.select("cell", F.explode(parts).alias("p")).select("cell", "p.k", "p.bin")
     q = _quantiles(binned, ["cell", "k"], {"q1": 0.25, "q2": 0.5, "q3": 0.75})
     floor = F.element_at(F.array(*[F.lit(f) for f in FLOORS]), F.col("k") + 1)
     unit = floor / VALUE_BINS
-    centre = (F.col("q2") + 0.5) * unit
     spread = F.greatest((F.col("q3") - F.col("q1")) * unit / 1.349, floor)
-    return q.groupBy("cell").agg(*[F.max(F.when(F.col("k") == k, centre)).alias(f"m{k}") for k in range(len(FEATURES))], *[F.max(F.when(F.col("k") == k, spread * spread)).alias(f"c{k}{k}") for k in range(len(FEATURES))])
+    centres = F.array(*[F.struct(F.lit(j).alias("start"), ((F.col(c) + 0.5) * unit).alias("centre")) for j, c in enumerate(("q2", "q1", "q3"))])
+    at = q.select("cell", "k", spread.alias("spread"), F.explode(centres).alias("s")).select("cell", "k", "spread", "s.start", "s.centre")
+    pick = lambda k, value: F.max(F.when(F.col("k") == k, value))
+    boxes = at.groupBy("cell", "start").agg(
+        *[pick(k, F.col("centre")).alias(f"m{k}") for k in range(len(FEATURES))],
+        *[(pick(i, F.col("spread") * F.col("spread")) if i == j else F.lit(0.0)).alias(f"c{i}{j}") for i, j in _entries()],
+    )
+    return boxes.unionByName(_moments(rows.withColumn("start", F.lit(3)), 1.0, ["cell", "start"]))
 
 
 def _entries() -> list[tuple[int, int]]:
@@ -229,23 +239,20 @@ def _entries() -> list[tuple[int, int]]:
 
 
 def _inverted(model: DataFrame) -> DataFrame:
-    """cell, centre and inverse scatter; one row a cell in and out."""
-    names = set(model.columns)
+    """cell, start, centre, inverse scatter and log determinant; one row a model in and out."""
     d = len(FEATURES)
+    outputs = ["cell", "start", *[f"m{k}" for k in range(d)], *[f"i{i}{j}" for i, j in _entries()], "logdet"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            get = lambda c: np.asarray(batch.column(c), dtype=float)
             cov = np.zeros((batch.num_rows, d, d))
             for i, j in _entries():
-                if f"c{i}{j}" in names:
-                    cov[:, i, j] = cov[:, j, i] = get(f"c{i}{j}")
+                cov[:, i, j] = cov[:, j, i] = np.asarray(batch.column(f"c{i}{j}"), dtype=float)
             cov[:, range(d), range(d)] = np.maximum(cov[:, range(d), range(d)], 0) + np.square(FLOORS)
-            inv = np.linalg.inv(cov)
-            yield pa.RecordBatch.from_arrays([batch.column("cell"), *[batch.column(f"m{k}") for k in range(d)], *[pa.array(inv[:, i, j]) for i, j in _entries()]], ["cell", *[f"m{k}" for k in range(d)], *[f"i{i}{j}" for i, j in _entries()]])
+            inv, logdet = np.linalg.inv(cov), np.linalg.slogdet(cov)[1]
+            yield pa.RecordBatch.from_arrays([batch.column("cell"), batch.column("start"), *[batch.column(f"m{k}") for k in range(d)], *[pa.array(inv[:, i, j]) for i, j in _entries()], pa.array(logdet)], outputs)
 
-    schema = "cell string, " + ", ".join([f"m{k} double" for k in range(d)] + [f"i{i}{j} double" for i, j in _entries()])
-    return model.mapInArrow(run, schema)
+    return model.mapInArrow(run, "cell string, start int, " + ", ".join(f"{c} double" for c in outputs[2:]))
 
 
 def _distance() -> Column:
@@ -255,28 +262,42 @@ def _distance() -> Column:
 
 
 def _with_distance(rows: DataFrame, inverse: DataFrame) -> DataFrame:
-    extra = [c for c in inverse.columns if c != "cell"]
+    """The rows with ``start`` and squared ``distance`` under each model of their cell."""
+    extra = [c for c in inverse.columns if c not in ("cell", "start")]
     return rows.join(inverse, "cell", "left").withColumn("distance", _distance()).drop(*extra)
 
 
-def _moments(rows: DataFrame, scale: float) -> DataFrame:
-    """Centre and covariance of the rows of each cell, times ``scale``."""
+def _moments(rows: DataFrame, scale: float, keys: list[str]) -> DataFrame:
+    """Centre and covariance of the rows of each key, times ``scale``."""
     sums = [F.avg(n).alias(f"m{k}") for k, n in enumerate(NAMES)]
     products = [(F.covar_pop(NAMES[i], NAMES[j]) * scale).alias(f"c{i}{j}") for i, j in _entries()]
-    return rows.groupBy("cell").agg(*sums, *products)
+    return rows.groupBy(*keys).agg(*sums, *products)
+
+
+def concentrated(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
+    """The models of every cell and start after concentration, with their log determinants."""
+    keys = ["cell", "start"]
+    inverse = _by_group(_inverted(_starts(rows)))
+    for k in range(steps):
+        near = _with_distance(rows, inverse).withColumn("bin", F.floor(F.log2(F.col("distance") + 1e-12) * DISTANCE_BINS))
+        limit = _quantiles(near.select(*keys, "bin"), keys, {"edge": share})
+        inside = near.join(_by_group(limit), keys).where(F.col("bin") <= F.col("edge"))
+        now = _by_group(_inverted(_moments(inside, consistency(share, len(FEATURES)), keys)))
+        change = F.max(F.abs(now["logdet"] - inverse["logdet"]))
+        moved = now.join(inverse, (now["cell"] == inverse["cell"]) & (now["start"] == inverse["start"])).agg(change.alias("x")).first().x
+        inverse = now
+        if k and (moved is None or moved < SETTLED):
+            break
+    return inverse
 
 
 def robust_models(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
     """cell, centre, inverse scatter after concentration and reweighting. rows: cell and the statistic vector."""
     d = len(FEATURES)
-    inverse = _by_group(_inverted(_start(rows)))
-    for _ in range(steps):
-        near = _with_distance(rows, inverse).withColumn("bin", F.floor(F.log2(F.col("distance") + 1e-12) * DISTANCE_BINS))
-        limit = _quantiles(near.select("cell", "bin"), ["cell"], {"edge": share})
-        inside = near.join(_by_group(limit), "cell").where(F.col("bin") <= F.col("edge"))
-        inverse = _by_group(_inverted(_moments(inside, consistency(share, d))))
-    inside = _with_distance(rows, inverse).where(F.col("distance") <= chi2_quantile(0.975, d))
-    return _by_group(_inverted(_moments(inside, consistency(0.975, d))))
+    best = Window.partitionBy("cell").orderBy("logdet", "start")
+    chosen = concentrated(rows, steps, share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
+    inside = _with_distance(rows, _by_group(chosen)).where(F.col("distance") <= chi2_quantile(0.975, d))
+    return _by_group(_inverted(_moments(inside, consistency(0.975, d), ["cell", "start"])))
 
 
 def judge(docs: DataFrame, level: float = LEVEL, steps: int = STEPS) -> DataFrame:

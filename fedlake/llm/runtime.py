@@ -37,6 +37,11 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Short rows over as many partitions as a shuffle has, before they multiply."""
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *df.columns[:1])
+
+
 def fresh(name: str, columns: list[str]) -> str:
     """A column name that clashes with none of ``columns``."""
     taken = {c.lower() for c in columns}

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fedlake.llm.components import connected_components
-from fedlake.llm.runtime import cut, fresh, slices, utf8
+from fedlake.llm.runtime import cut, fresh, slices, spread, utf8
 
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 SEED = 42
@@ -169,7 +169,7 @@ def near_groups(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable)."""
     prints = cut(fingerprints(docs, width))
     distinct = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc")))
-    reach = connected_components(fingerprint_links(distinct.select("fp"), radius)).withColumnRenamed("u", "fp")
+    reach = connected_components(fingerprint_links(spread(distinct.select("fp")), radius)).withColumnRenamed("u", "fp")
     placed = distinct.join(reach, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), "first_doc")
     best = placed.groupBy("root").agg(F.min("first_doc").alias("component_id"))
     labelled = placed.join(best, "root").select("fp", "component_id")
@@ -179,11 +179,12 @@ def near_groups(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame:
 def one_per_group(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame:
     """The documents whose doc_id is their group's smallest; all columns stay.
 
-    Rows that repeat the kept doc_id are exact repeats of one id: one of them
-    stays. Rows without a doc_id can't be named as a group's first and stay.
+    Of rows that repeat doc_id and text one stays; different texts of one doc_id
+    stay while that id is some group's smallest. Rows without a doc_id can't be
+    named as a group's first and stay.
     """
     groups = near_groups(docs.select("doc_id", "text"), width, radius)
     first = fresh("first", docs.columns)
     firsts = groups.where("doc_id = component_id").select(F.col("doc_id").alias(first)).distinct()
-    named = docs.where("doc_id is not null").join(firsts, F.col("doc_id") == F.col(first), "left_semi").dropDuplicates(["doc_id"])
+    named = docs.where("doc_id is not null").join(firsts, F.col("doc_id") == F.col(first), "left_semi").dropDuplicates(["doc_id", "text"])
     return named.unionByName(docs.where("doc_id is null"))

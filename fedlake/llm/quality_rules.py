@@ -2,20 +2,22 @@
 
 Base rules reject very short and very repetitive texts. The others become
 transformed statistic vectors, and every group of language and source gets a
-minimum-covariance-determinant estimate of their centre and scatter. Four fixed
-starts (quartile widths around the median and both quartiles, and the plain
-moments) each take concentration steps, which alternate between the covariance of
-the three quarters of rows nearest to the centre and distances under it, until no
-determinant changes any more. The start with the smallest determinant wins; a
-reweighted estimate over the rows inside the 97.5 % ellipsoid follows. A document
-is rejected if its squared Mahalanobis distance exceeds the chi-square quantile
-of ``level``.
-
-All steps are sums and fixed-bin histograms by group (summed before the
-shuffle), so no group is ever gathered and results don't depend on the
-partitioning beyond the rounding of sums. Scatter has a floor per statistic:
-differences below it don't matter, and statistics that are constant in a group
-can't reject everything else.
+minimum-covariance-determinant estimate of their centre and scatter. Starts are
+fixed ones (quartile widths around the median and both quartiles, and the plain
+moments) and drawn ones (a few points each). Concentration steps alternate between
+the covariance of the three quarters of rows nearest to the centre and distances
+under it; after two of them the starts with the smallest determinants go on until
+their determinant doesn't change any more. The smallest one wins; a reweighted
+estimate over the rows inside the 97.5 % ellipsoid follows. A document is rejected
+if its squared Mahalanobis distance exceeds the chi-square quantile of ``level``.
+
+Scatter has a floor per statistic: differences below it don't matter, and
+statistics that are constant in a group can't reject everything else. Rows of a
+group are therefore summed first in boxes as wide as the floors (number, sums and
+products of the vectors, before the shuffle): a group of any number of rows comes
+down to the boxes that it occupies, whose number the statistics' ranges bound.
+Moments are exact sums over all rows; a box counts as near or far by its mean, and
+the last one by the share that makes the number of rows right.
 
 Groups under ``MIN_GROUP`` rows are estimated together with the other small
 groups of their language, then of all languages; what is still too few has no
@@ -30,8 +32,11 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -48,14 +53,14 @@ FEATURES = (("x_word_length", 0.20), ("x_symbols", 0.05), ("x_dup_lines", 0.10),
 NAMES = [n for n, _ in FEATURES]
 FLOORS = [f for _, f in FEATURES]
 KEEP_SHARE = 0.75
-#: Concentration steps at most, and the change of a log determinant that ends them.
-STEPS = 30
-SETTLED = 1e-6
+#: Starts drawn at random, those that go on after two steps, steps at most, and the change of a log determinant that ends them.
+DRAWN = 40
+BEST = 5
+STEPS = 100
+SETTLED = 1e-9
+SEED = 11
 LEVEL = 0.999999
 MIN_GROUP = 50
-#: Bins of a floor's width by which medians and quartiles are found, and bins of a doubling of the squared distance.
-VALUE_BINS = 16
-DISTANCE_BINS = 256
 #: Tables of one short row per group are broadcast up to this many groups; larger ones are joined by shuffle.
 BROADCAST_GROUPS = 20_000
 _CONTINUED = bytes(range(0x80, 0xC0))
@@ -207,52 +212,102 @@ def assign_groups(rows: DataFrame) -> DataFrame:
     return rows.join(_by_group(own.select("group_key", cell.alias("cell"))), "group_key", "left")
 
 
-def _quantiles(binned: DataFrame, keys: list[str], shares: dict[str, float]) -> DataFrame:
-    """Bins at which the running count of each key reaches the given shares. binned: keys, bin."""
-    counts = binned.groupBy(*keys, "bin").agg(F.count("*").alias("n"))
-    running = Window.partitionBy(*keys).orderBy("bin")
-    whole = Window.partitionBy(*keys)
-    summed = counts.withColumn("upto", F.sum("n").over(running)).withColumn("total", F.sum("n").over(whole))
-    return summed.groupBy(*keys).agg(*[F.min(F.when(F.col("upto") >= F.col("total") * share, F.col("bin"))).alias(name) for name, share in shares.items()])
-
-
-def _starts(rows: DataFrame) -> DataFrame:
-    """Per cell and start a model row: diagonal scatter of quartile widths around three centres, and mean and covariance."""
-    parts = F.array(*[F.struct(F.lit(k).alias("k"), F.floor(F.col(n) * (VALUE_BINS / f)).alias("bin")) for k, (n, f) in enumerate(FEATURES)])
-    binned = rows.select("cell", F.explode(parts).alias("p")).select("cell", "p.k", "p.bin")
-    q = _quantiles(binned, ["cell", "k"], {"q1": 0.25, "q2": 0.5, "q3": 0.75})
-    floor = F.element_at(F.array(*[F.lit(f) for f in FLOORS]), F.col("k") + 1)
-    unit = floor / VALUE_BINS
-    spread = F.greatest((F.col("q3") - F.col("q1")) * unit / 1.349, floor)
-    centres = F.array(*[F.struct(F.lit(j).alias("start"), ((F.col(c) + 0.5) * unit).alias("centre")) for j, c in enumerate(("q2", "q1", "q3"))])
-    at = q.select("cell", "k", spread.alias("spread"), F.explode(centres).alias("s")).select("cell", "k", "spread", "s.start", "s.centre")
-    pick = lambda k, value: F.max(F.when(F.col("k") == k, value))
-    boxes = at.groupBy("cell", "start").agg(
-        *[pick(k, F.col("centre")).alias(f"m{k}") for k in range(len(FEATURES))],
-        *[(pick(i, F.col("spread") * F.col("spread")) if i == j else F.lit(0.0)).alias(f"c{i}{j}") for i, j in _entries()],
-    )
-    return boxes.unionByName(_moments(rows.withColumn("start", F.lit(3)), 1.0, ["cell", "start"]))
-
-
 def _entries() -> list[tuple[int, int]]:
     return [(i, j) for i in range(len(FEATURES)) for j in range(i, len(FEATURES))]
 
 
-def _inverted(model: DataFrame) -> DataFrame:
-    """cell, start, centre, inverse scatter and log determinant; one row a model in and out."""
-    d = len(FEATURES)
-    outputs = ["cell", "start", *[f"m{k}" for k in range(d)], *[f"i{i}{j}" for i, j in _entries()], "logdet"]
+@dataclass
+class Boxes:
+    """Rows of one group in boxes: number, sums and summed products (by ``_entries``)."""
+
+    n: np.ndarray
+    sums: np.ndarray
+    products: np.ndarray
+
+    @cached_property
+    def means(self) -> np.ndarray:
+        return self.sums / self.n[:, None]
+
+    def moments(self, part: np.ndarray, share: float) -> tuple[np.ndarray, np.ndarray]:
+        """Centre and floored scatter over ``part`` of each box, as the central ``share`` of a normal cloud."""
+        total = part @ self.n
+        centre, second = part @ self.sums / total, part @ self.products / total
+        cov = np.zeros((len(centre), len(centre)))
+        for (i, j), x in zip(_entries(), second, strict=True):
+            cov[i, j] = cov[j, i] = (x - centre[i] * centre[j]) * consistency(share, len(centre))
+        return centre, floored(cov)
+
+    def distances(self, centre: np.ndarray, cov: np.ndarray) -> np.ndarray:
+        off = self.means - centre
+        return np.einsum("ij,ij->i", off @ np.linalg.inv(cov), off)
+
+    def nearest(self, distance: np.ndarray, rows: float) -> np.ndarray:
+        """The part of each box that the given number of rows nearest to the centre takes."""
+        order = np.argsort(distance, kind="stable")
+        before = np.cumsum(self.n[order]) - self.n[order]
+        part = np.zeros(len(order))
+        part[order] = np.clip((rows - before) / self.n[order], 0, 1)
+        return part
+
+    def starts(self, rng: np.random.Generator) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        q = []
+        for x in self.means.T:
+            order = np.argsort(x, kind="stable")
+            upto = np.cumsum(self.n[order])
+            q.append(x[order[np.searchsorted(upto, upto[-1] * np.array([0.25, 0.5, 0.75]))]])
+        q = np.array(q)
+        spread = np.diag(np.maximum((q[:, 2] - q[:, 0]) / 1.349, FLOORS) ** 2)
+        for k in (1, 0, 2):
+            yield q[:, k], spread
+        yield self.moments(np.ones(len(self.n)), 1.0)
+        for _ in range(DRAWN):
+            few = self.means[rng.choice(len(self.n), len(FEATURES) + 1, p=self.n / self.n.sum())]
+            yield few.mean(axis=0), floored(np.cov(few.T, bias=True))
+
+    def concentrated(self, model: tuple[np.ndarray, np.ndarray], steps: int, share: float) -> tuple[float, tuple[np.ndarray, np.ndarray]]:
+        """(log determinant, model) after concentration steps, at most ``steps``."""
+        rows, last = np.ceil(share * self.n.sum()), np.inf
+        for _ in range(steps):
+            model = self.moments(self.nearest(self.distances(*model), rows), share)
+            now = float(np.linalg.slogdet(model[1])[1])
+            if abs(last - now) < SETTLED:
+                break
+            last = now
+        return now, model
+
+    def estimate(self, steps: int = STEPS, share: float = KEEP_SHARE) -> tuple[float, np.ndarray, np.ndarray]:
+        """(smallest log determinant, reweighted centre, reweighted scatter)."""
+        tried = [self.concentrated(m, 2, share) for m in self.starts(np.random.default_rng(SEED))]
+        tried = sorted(tried, key=lambda x: x[0])[:BEST]
+        logdet, model = min((self.concentrated(m, steps, share) for _, m in tried), key=lambda x: x[0])
+        inside = (self.distances(*model) <= chi2_quantile(0.975, len(FEATURES))).astype(float)
+        return logdet, *self.moments(inside, 0.975)
+
+
+def floored(cov: np.ndarray) -> np.ndarray:
+    out = np.array(cov)
+    d = range(len(out))
+    out[d, d] = np.maximum(out[d, d], 0) + np.square(FLOORS)
+    return out
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            cov = np.zeros((batch.num_rows, d, d))
-            for i, j in _entries():
-                cov[:, i, j] = cov[:, j, i] = np.asarray(batch.column(f"c{i}{j}"), dtype=float)
-            cov[:, range(d), range(d)] = np.maximum(cov[:, range(d), range(d)], 0) + np.square(FLOORS)
-            inv, logdet = np.linalg.inv(cov), np.linalg.slogdet(cov)[1]
-            yield pa.RecordBatch.from_arrays([batch.column("cell"), batch.column("start"), *[batch.column(f"m{k}") for k in range(d)], *[pa.array(inv[:, i, j]) for i, j in _entries()], pa.array(logdet)], outputs)
 
-    return model.mapInArrow(run, "cell string, start int, " + ", ".join(f"{c} double" for c in outputs[2:]))
+def robust_models(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
+    """cell, centre, inverse scatter and smallest log determinant. rows: cell and the statistic vector."""
+    d, entries = len(FEATURES), _entries()
+    box = [F.floor(F.col(n) / f).alias(f"b{k}") for k, (n, f) in enumerate(FEATURES)]
+    sums = [F.sum(n).alias(f"s{k}") for k, n in enumerate(NAMES)]
+    products = [F.sum(F.col(NAMES[i]) * F.col(NAMES[j])).alias(f"p{i}{j}") for i, j in entries]
+    boxes = rows.groupBy("cell", *box).agg(F.count("*").alias("n"), *sums, *products)
+    outputs = [*[f"m{k}" for k in range(d)], *[f"i{i}{j}" for i, j in entries], "logdet"]
+
+    def fit(found: pd.DataFrame) -> pd.DataFrame:
+        found = found.sort_values([f"b{k}" for k in range(d)])
+        held = Boxes(found["n"].to_numpy(float), found[[f"s{k}" for k in range(d)]].to_numpy(), found[[f"p{i}{j}" for i, j in entries]].to_numpy())
+        logdet, centre, cov = held.estimate(steps, share)
+        inverse = np.linalg.inv(cov)
+        return pd.DataFrame([[found["cell"].iloc[0], *centre, *[inverse[i, j] for i, j in entries], logdet]], columns=["cell", *outputs])
+
+    return _by_group(boxes.groupBy("cell").applyInPandas(fit, "cell string, " + ", ".join(f"{c} double" for c in outputs)))
 
 
 def _distance() -> Column:
@@ -261,43 +316,8 @@ def _distance() -> Column:
     return sum(terms[1:], terms[0])
 
 
-def _with_distance(rows: DataFrame, inverse: DataFrame) -> DataFrame:
-    """The rows with ``start`` and squared ``distance`` under each model of their cell."""
-    extra = [c for c in inverse.columns if c not in ("cell", "start")]
-    return rows.join(inverse, "cell", "left").withColumn("distance", _distance()).drop(*extra)
-
-
-def _moments(rows: DataFrame, scale: float, keys: list[str]) -> DataFrame:
-    """Centre and covariance of the rows of each key, times ``scale``."""
-    sums = [F.avg(n).alias(f"m{k}") for k, n in enumerate(NAMES)]
-    products = [(F.covar_pop(NAMES[i], NAMES[j]) * scale).alias(f"c{i}{j}") for i, j in _entries()]
-    return rows.groupBy(*keys).agg(*sums, *products)
-
-
-def concentrated(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
-    """The models of every cell and start after concentration, with their log determinants."""
-    keys = ["cell", "start"]
-    inverse = _by_group(_inverted(_starts(rows)))
-    for k in range(steps):
-        near = _with_distance(rows, inverse).withColumn("bin", F.floor(F.log2(F.col("distance") + 1e-12) * DISTANCE_BINS))
-        limit = _quantiles(near.select(*keys, "bin"), keys, {"edge": share})
-        inside = near.join(_by_group(limit), keys).where(F.col("bin") <= F.col("edge"))
-        now = _by_group(_inverted(_moments(inside, consistency(share, len(FEATURES)), keys)))
-        change = F.max(F.abs(now["logdet"] - inverse["logdet"]))
-        moved = now.join(inverse, (now["cell"] == inverse["cell"]) & (now["start"] == inverse["start"])).agg(change.alias("x")).first().x
-        inverse = now
-        if k and (moved is None or moved < SETTLED):
-            break
-    return inverse
-
-
-def robust_models(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE) -> DataFrame:
-    """cell, centre, inverse scatter after concentration and reweighting. rows: cell and the statistic vector."""
-    d = len(FEATURES)
-    best = Window.partitionBy("cell").orderBy("logdet", "start")
-    chosen = concentrated(rows, steps, share).withColumn("place", F.row_number().over(best)).where("place = 1").drop("place")
-    inside = _with_distance(rows, _by_group(chosen)).where(F.col("distance") <= chi2_quantile(0.975, d))
-    return _by_group(_inverted(_moments(inside, consistency(0.975, d), ["cell", "start"])))
+def _with_distance(rows: DataFrame, models: DataFrame) -> DataFrame:
+    return rows.join(models, "cell", "left").withColumn("distance", _distance()).drop(*[c for c in models.columns if c != "cell"])
 
 
 def judge(docs: DataFrame, level: float = LEVEL, steps: int = STEPS) -> DataFrame:

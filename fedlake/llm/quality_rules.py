@@ -33,7 +33,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import cached_property
+from functools import cached_property, lru_cache
 
 import numpy as np
 import pandas as pd
@@ -42,7 +42,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from fedlake.llm.runtime import cut, fresh, slices, utf8
+from fedlake.llm.runtime import cut, fresh, one_blas_thread, slices, utf8
 
 SYMBOLS = b"#*$%&|<>"
 WINDOW = 5
@@ -95,6 +95,7 @@ def chi2_cdf(x: float, d: int) -> float:
     return 1 - front * h
 
 
+@lru_cache(maxsize=64)
 def chi2_quantile(p: float, d: int) -> float:
     low, high = 0.0, 1.0
     while chi2_cdf(high, d) < p:
@@ -105,6 +106,7 @@ def chi2_quantile(p: float, d: int) -> float:
     return (low + high) / 2
 
 
+@lru_cache(maxsize=64)
 def consistency(share: float, d: int) -> float:
     """What the covariance of the central ``share`` of a normal cloud must be multiplied by."""
     return share / chi2_cdf(chi2_quantile(share, d), d + 2)
@@ -301,6 +303,7 @@ def robust_models(rows: DataFrame, steps: int = STEPS, share: float = KEEP_SHARE
     outputs = [*[f"m{k}" for k in range(d)], *[f"i{i}{j}" for i, j in entries], "logdet"]
 
     def fit(found: pd.DataFrame) -> pd.DataFrame:
+        one_blas_thread()
         found = found.sort_values([f"b{k}" for k in range(d)])
         held = Boxes(found["n"].to_numpy(float), found[[f"s{k}" for k in range(d)]].to_numpy(), found[[f"p{i}{j}" for i, j in entries]].to_numpy())
         logdet, centre, cov = held.estimate(steps, share)

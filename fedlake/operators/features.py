@@ -23,9 +23,16 @@ def long_fields(df: DataFrame, ident: str, fields: tuple[str, ...]) -> DataFrame
 
 
 def vocabulary(long: DataFrame, side: str) -> DataFrame:
-    """(side, field, value, slot): slots from 1 in order of field and value; 0 stays for unknown values."""
-    distinct = long.select("field", "value").distinct().withColumn("side", F.lit(side))
-    return distinct.withColumn("slot", F.row_number().over(Window.partitionBy("side").orderBy("field", "value"))).select("side", "field", "value", "slot")
+    """(side, field, value, slot): slots from 1 in order of field and value; 0 stays for unknown values.
+
+    Values are numbered inside ranges of equal beginnings, after the counted ranges before them.
+    """
+    distinct = long.select("field", "value").distinct().withColumn("_c", F.substring("value", 1, 4))
+    sizes = distinct.groupBy("field", "_c").agg(F.count("*").alias("_n"))
+    before = Window.orderBy("field", "_c").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = sizes.select("field", "_c", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_off"))
+    place = F.row_number().over(Window.partitionBy("field", "_c").orderBy("value"))
+    return distinct.join(offsets, ["field", "_c"]).select(F.lit(side).alias("side"), "field", "value", (F.col("_off") + place).cast("int").alias("slot"))
 
 
 def slots(long: DataFrame, vocab: DataFrame, ident: str) -> DataFrame:

@@ -7,6 +7,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 
+#: Clients whose untouched items may be listed.
+MOST_CLIENTS = 100_000
+
+
 def range_join(df: DataFrame, bands: list[tuple[float, float, int]], value: str, out: str) -> DataFrame:
     """Each row with the band (low, high] that holds its value; bands are a short literal list, so they are broadcast."""
     table = df.sparkSession.createDataFrame([(float(a), float(b), int(c)) for a, b, c in bands], f"_low double, _high double, {out} int")
@@ -40,7 +44,9 @@ def top_k(df: DataFrame, by: list[str], order: list[Column], k: int, rank: str =
 
 
 def unseen(items: DataFrame, clients: DataFrame, seen: DataFrame) -> DataFrame:
-    """(client_id, item_id) never touched, for a bounded set of clients (a round's draw)."""
+    """(client_id, item_id) never touched, for a bounded set of clients (a round's draw); more than ``MOST_CLIENTS`` are an error."""
+    if clients.limit(MOST_CLIENTS + 1).count() > MOST_CLIENTS:
+        raise ValueError(f"candidates of more than {MOST_CLIENTS} clients are ranked by counting, not listed")
     return F.broadcast(clients.select("client_id")).join(items.select("item_id"), F.lit(True), "inner").join(seen.select("client_id", "item_id"), ["client_id", "item_id"], "left_anti")
 
 

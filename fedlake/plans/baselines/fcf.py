@@ -31,7 +31,7 @@ def fit(prep: D.Prepared, rounds: int = 5, clients: int = 20, rate: float = 0.01
     train, _ = D.splits(prep)
     ids = train.select("client_id").distinct()
     draw = sampling.draw_fixed(ids, clients, rounds, f"fcf-{seed}")
-    packed = train.join(draw.select("client_id").distinct(), "client_id", "left_semi").groupBy("client_id").agg(F.sort_array(F.collect_list(F.struct("item_no", "label"))).alias("items")).join(draw, "client_id").persist()
+    packed = train.join(draw.select("client_id").distinct(), "client_id", "left_semi").groupBy("client_id").agg(F.sort_array(F.collect_list(F.struct("item_no", "label", "stars"))).alias("items")).join(draw, "client_id").persist()
     spark = packed.sparkSession
     q = np.random.default_rng(seed).standard_normal((prep.n_items, dim)) * 0.1
     for r in range(rounds):
@@ -39,7 +39,7 @@ def fit(prep: D.Prepared, rounds: int = 5, clients: int = 20, rate: float = 0.01
 
         def kernel(row, shared=shared):
             i, y = np.array([x["item_no"] for x in row["items"]]), np.array([x["label"] for x in row["items"]], float)
-            c, mine = 1 + conf * y, shared.value[i]
+            c, mine = 1 + conf * np.array([x["stars"] for x in row["items"]], float), shared.value[i]
             x = user_factor(mine, y, c, reg)
             out = np.zeros_like(shared.value)
             out[i] = item_gradient(mine, x, y, c) - reg * mine
@@ -54,8 +54,8 @@ def fit(prep: D.Prepared, rounds: int = 5, clients: int = 20, rate: float = 0.01
 
 def rank(prep: D.Prepared, q: np.ndarray, reg: float = REG, conf: float = CONF) -> DataFrame:
     """Ranks of test users' positives: each solves its factor on its tuning half."""
-    test = D.splits(prep)[1].select("client_id", F.col("item_no").alias("item_id"), "label", "row_split")
-    tune = test.where("row_split = 'tune'").groupBy("client_id").agg(F.collect_list("item_id").alias("ti"), F.collect_list("label").alias("ty"))
+    test = D.splits(prep)[1].select("client_id", F.col("item_no").alias("item_id"), "label", "stars", "row_split")
+    tune = test.where("row_split = 'tune'").groupBy("client_id").agg(F.collect_list(F.struct("item_id", "label", "stars")).alias("tuned"))
     cases = scoring.test_cases(test).join(tune, "client_id")
     shared = cases.sparkSession.sparkContext.broadcast(q)
 
@@ -64,8 +64,8 @@ def rank(prep: D.Prepared, q: np.ndarray, reg: float = REG, conf: float = CONF)
         for batch in batches:
             out: list[tuple] = []
             for row in batch.to_pylist():
-                y = np.array(row["ty"], float)
-                s = shared.value @ user_factor(shared.value[np.array(row["ti"])], y, 1 + conf * y, reg)
+                at, y, stars = (np.array([x[c] for x in row["tuned"]]) for c in ("item_id", "label", "stars"))
+                s = shared.value @ user_factor(shared.value[at], y.astype(float), 1 + conf * stars, reg)
                 own = np.array(row["positives"], np.int64)
                 above = scoring.count_above(s, items, np.array(row["seen"], np.int64), s[own], own)
                 out += [(row["client_id"], int(i), int(a) + 1) for i, a in zip(own, above, strict=True)]
@@ -77,10 +77,12 @@ def rank(prep: D.Prepared, q: np.ndarray, reg: float = REG, conf: float = CONF)
 
 
 def central_als(prep: D.Prepared, rank_: int = 8, iterations: int = 5) -> DataFrame:
-    """(client_id, item_id, rank): ten items a client by the library's implicit-feedback factor model, the centralised reference."""
+    """(client_id, item_id, rank): ten items a client by the library's implicit-feedback factor model, the centralised reference; what is ranked isn't fitted."""
     from pyspark.ml.recommendation import ALS
 
-    rows = prep.rows.where("label = 1").select(F.col("client_id").cast("int").alias("user"), F.col("item_no").cast("int").alias("item"), F.col("stars").cast("float").alias("rating"))
+    train, test = D.splits(prep)
+    used = train.select("client_id", "item_no", "label", "stars").unionByName(test.where("row_split = 'tune'").select("client_id", "item_no", "label", "stars"))
+    rows = used.where("label = 1").select(F.col("client_id").cast("int").alias("user"), F.col("item_no").cast("int").alias("item"), F.col("stars").cast("float").alias("rating"))
     model = ALS(rank=rank_, maxIter=iterations, regParam=REG, implicitPrefs=True, alpha=1.0, userCol="user", itemCol="item", ratingCol="rating", seed=42).fit(rows)
     found = model.recommendForAllUsers(10)
     return found.select(F.col("user").cast("long").alias("client_id"), F.posexplode("recommendations").alias("p", "r")).select("client_id", (F.col("p") + 1).alias("rank"), F.col("r.item").cast("long").alias("item_id"))

@@ -13,8 +13,8 @@ from fedlake.operators.sequences import item_ordinals
 from fedlake.plans.nets import Bags
 from fedlake.sources.universes import Universe
 
-#: Item tables up to this many rows are broadcast to the ranking kernel; larger ones go in blocks.
-ITEM_BLOCK = 1 << 18
+#: Items whose slots the ranking kernel takes as one table; a longer catalogue must be ranked with ``scoring.ranks``, which goes in blocks.
+MOST_ITEMS = 1 << 24
 
 
 @dataclass
@@ -75,6 +75,8 @@ def pack(prep: Prepared, rows: DataFrame) -> DataFrame:
 
 def item_table(prep: Prepared) -> tuple[np.ndarray, Bags]:
     """Item numbers and slots of the catalogue for the ranking kernel."""
+    if prep.n_items > MOST_ITEMS:
+        raise ValueError(f"{prep.n_items} items are more than the kernel's table may hold")
     found = prep.items.select("item_no", "f", "s").orderBy("item_no").toArrow()
     return np.asarray(found.column("item_no")), Bags.of(found.column("f").to_pylist(), found.column("s").to_pylist())
 

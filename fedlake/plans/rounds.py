@@ -10,7 +10,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +35,8 @@ class Model:
     theta: np.ndarray
     costs: list[dict] = field(default_factory=list)
     privacy: dict | None = None
+    #: (client_id) of the clients that took part in the rounds.
+    members: DataFrame | None = None
     checkpoints: dict[int, np.ndarray] = field(default_factory=dict)
 
     def epsilon(self, delta: float, compositions: float | None = None) -> PrivacyStatement:
@@ -134,12 +136,16 @@ def train_rounds(prep: D.Prepared, net: TwoTower, local: LocalPlan, server: Serv
     noisy = server.noise != "none"
     if noisy and local.clip is None:
         raise ValueError("noise needs a clipping bound")
+    if noisy and server.aggregate != "mean":
+        raise ValueError("the noise is measured for the mean over a fixed round size; weights by rows have another sensitivity")
+    if server.noise == "laplace":  # its scale is measured in the L1 norm
+        local = replace(local, clip_norm="l1")
     effective = server.z / max(server.rate, 1e-12) if noisy else 0.0
     curve = (accountant.rdp_fixed_laplace(server.clients / total, effective, range(2, 65)) if server.noise == "laplace" else accountant.rdp_fixed(server.clients / total, effective)) if noisy and effective > 0 else None
     sigma = dp.sigma(local.clip, server.clients, server.z) if noisy else 0.0
     costs, kept, best, waited = [], {}, np.inf, 0
     if server.noise == "local":
-        local = LocalPlan(**{**local.__dict__, "local_noise": sigma, "round_size": server.clients})
+        local = replace(local, local_noise=sigma, round_size=server.clients)
     for r in range(server.rounds):
         if server.budget is not None and curve is not None and accountant.epsilon(curve, r + 1, server.delta) > server.budget:
             break
@@ -170,8 +176,9 @@ def train_rounds(prep: D.Prepared, net: TwoTower, local: LocalPlan, server: Serv
             if waited >= server.patience:
                 break
     packed.unpersist()
+    ran = sampling.draw_fixed(train.select("client_id").distinct(), server.clients, server.rounds, f"round-{server.seed}").where(F.col("round") < len(costs))
     privacy = {"z": effective, "q": server.clients / total, "rounds": len(costs), "noise": server.noise, "covers": covers} if noisy else None
-    return Model(prep, net, theta, costs, privacy, kept)
+    return Model(prep, net, theta, costs, privacy, ran.select("client_id").distinct(), kept)
 
 
 def personalised_ranks(model: Model, users: DataFrame, epochs: int = 2, rate: float = 0.05) -> DataFrame:
@@ -215,7 +222,7 @@ def top_lists(model: Model, users: DataFrame, k: int = 10) -> DataFrame:
             lists, means = [], []
             for row in rows:
                 s = net.item_scores(theta, D.Bags.of([row["uf"]], [row["us"]]), items)
-                at = np.lexsort((ids, -s))[:k]
+                at = scoring.best(s, ids, k)
                 lists.append(ids[at])
                 means.append(float(s[at].mean()) if len(at) else 0.0)
             yield pa.RecordBatch.from_arrays([pa.array([r["client_id"] for r in rows], pa.int64()), pa.array(lists, pa.list_(pa.int64())), pa.array(means)], ["client_id", "items", "mean_score"])

@@ -12,8 +12,7 @@ from fedlake.streaming import streams as S
 
 
 def _finished(spark, frame, mode="append"):
-    name = f"stream_{uuid.uuid4().hex}"
-    return S.run_once(frame, name, f"{ensure_checkpoint_dir(spark)}/{name}", mode)
+    return S.run_once(frame, f"stream_{uuid.uuid4().hex}", ensure_checkpoint_dir(spark), mode)
 
 
 @query("stream_sessions")

@@ -9,7 +9,7 @@ from fedlake.functions.hashing import uniform, uniform_sql
 from fedlake.functions.vectors import sigmoid
 from fedlake.operators import local_models as M
 from fedlake.operators import protocol, sampling
-from fedlake.operators.graph import neighbours
+from fedlake.operators.graph import co_user_means, ring_neighbours
 from fedlake.queries.data import DRAW_SQL, P_SQL, ROUND, customers
 from fedlake.queries.registry import query
 from fedlake.sources import universes as U
@@ -200,23 +200,26 @@ e AS (SELECT client_id, lead(client_id) OVER w AS a, lead(client_id, 2) OVER w A
 nb AS (SELECT client_id, neighbour, count(*) AS common FROM (SELECT client_id, a AS neighbour FROM e UNION ALL SELECT client_id, b FROM e) WHERE neighbour IS NOT NULL GROUP BY 1, 2)"""
 
 
-@query("graph_neighbours", f"WITH {RING_SQL} SELECT client_id, neighbour, common FROM nb")
-def graph_neighbours(spark, d):
-    return neighbours(U.purchases(spark, d))
+@query("graph_ring_neighbours", f"WITH {RING_SQL} SELECT client_id, neighbour, common FROM nb")
+def graph_ring_neighbours(spark, d):
+    """The bounded graph: two co-users an item."""
+    return ring_neighbours(U.purchases(spark, d))
 
 
 @query(
     "graph_mean_aggregate",
-    f"""WITH {RING_SQL}, o AS (SELECT client_id, avg({uniform_sql('gnn0', 'item_id')}) AS v0, avg({uniform_sql('gnn1', 'item_id')}) AS v1 FROM p GROUP BY 1),
-    m AS (SELECT nb.client_id, avg(v0) AS m0, avg(v1) AS m1 FROM nb JOIN o ON neighbour = o.client_id GROUP BY 1),
+    f"""WITH {P_SQL}, k AS (SELECT DISTINCT client_id, md5('k#' || item_id::VARCHAR) AS hid FROM p),
+    o AS (SELECT client_id, avg({uniform_sql('gnn0', 'item_id')}) AS v0, avg({uniform_sql('gnn1', 'item_id')}) AS v1 FROM p GROUP BY 1),
+    s AS (SELECT hid, count(*) AS n, sum(v0) AS s0, sum(v1) AS s1 FROM k JOIN o USING (client_id) GROUP BY 1),
+    m AS (SELECT k.client_id, avg((s0 - v0) / (n - 1)) AS m0, avg((s1 - v1) / (n - 1)) AS m1 FROM k JOIN s USING (hid) JOIN o ON o.client_id = k.client_id WHERE n > 1 GROUP BY 1),
     z AS (SELECT o.client_id, (v0 + coalesce(m0, v0)) / 2 AS z0, (v1 + coalesce(m1, v1)) / 2 AS z1 FROM o LEFT JOIN m USING (client_id))
     SELECT client_id, 0 AS pos, round(z0, 6) AS value FROM z UNION ALL SELECT client_id, 1, round(z1, 6) FROM z""",
 )
 def graph_mean_aggregate(spark, d):
-    """One message round: a client's item mean averaged with its neighbours' means."""
+    """One message round: a client's item mean averaged with the mean over its items of all other users' means."""
     p = U.purchases(spark, d)
     own = p.groupBy("client_id").agg(*[F.avg(uniform(f"gnn{k}", F.col("item_id"))).alias(f"v{k}") for k in range(2)])
-    met = neighbours(p).join(own.withColumnRenamed("client_id", "neighbour"), "neighbour").groupBy("client_id").agg(*[F.avg(f"v{k}").alias(f"m{k}") for k in range(2)])
+    met = co_user_means(p, own, ["v0", "v1"]).select("client_id", F.col("v0").alias("m0"), F.col("v1").alias("m1"))
     z = own.join(met, "client_id", "left").select("client_id", F.posexplode(F.array(*[(F.col(f"v{k}") + F.coalesce(f"m{k}", f"v{k}")) / 2 for k in range(2)])).alias("pos", "value"))
     return z.select("client_id", "pos", F.round("value", 6).alias("value"))
 

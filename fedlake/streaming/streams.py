@@ -13,6 +13,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from fedlake.sources.tables import load
 
@@ -101,7 +102,19 @@ def prequential(stream: DataFrame, score: Callable[[DataFrame], DataFrame], sink
 
 
 def run_once(frame: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Everything available through the query once, into a memory table of that name."""
-    query = frame.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Everything available through the query once, into Parquet files of that name beside the query's state.
+
+    Every micro-batch overwrites a folder of its own, so a batch that runs again
+    after a failure counts once; in complete mode the last batch is the result.
+    """
+    rows = f"{checkpoint}/{name}-rows"
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{rows}/batch={0 if mode == 'complete' else number}")
+
+    query = frame.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{checkpoint}/{name}-state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return frame.sparkSession.table(name)
+    schema = StructType([*frame.schema.fields, StructField("batch", IntegerType())])
+    spark = frame.sparkSession
+    spark.createDataFrame([], frame.schema).write.mode("overwrite").parquet(f"{rows}/batch=-1")  # there may be no batch
+    return spark.read.schema(schema).parquet(rows).drop("batch")

@@ -1,4 +1,4 @@
-"""The same network without federation: synchronous data-parallel gradient steps over all clients' rows."""
+"""The same network without federation: every user is a task, all users' rows are at hand."""
 
 from __future__ import annotations
 
@@ -8,26 +8,33 @@ from pyspark.sql import functions as F
 from fedlake.functions.hashing import uniform
 from fedlake.plans import data as D
 from fedlake.plans import rounds as R
-from fedlake.plans.client import client_batch
+from fedlake.plans.client import LocalPlan, client_batch, client_delta
 
 
-def fit(prep: D.Prepared, net, steps: int = 10, rate: float = 0.5, share: float = 0.5, train=None, seed: int = 42) -> R.Model:
-    """Each step averages the gradient of a hashed share of the clients, one task per partition, one vector back."""
-    train = D.splits(prep)[0] if train is None else train
+def fit(prep: D.Prepared, net, steps: int = 10, rate: float = 1.0, share: float = 0.5, train=None, seed: int = 42, local: LocalPlan | None = None, tasks: bool = True) -> R.Model:
+    """Each step takes a hashed share of the users, one task per partition, one vector back.
+
+    With ``tasks`` a user is a task: its parameters go through the local epochs
+    and the step is the mean displacement of the tasks. Without, it is a gradient
+    step on the pooled rows (``rate`` 0.5 suits it).
+    """
+    train, plan = D.splits(prep)[0] if train is None else train, local or LocalPlan()
     packed = D.pack(prep, train).persist()
     spark = packed.sparkSession
     theta, costs = net.start(seed), []
     for k in range(steps):
         shared = spark.sparkContext.broadcast(theta)
 
-        def kernel(row, shared=shared):
-            return net.gradient(shared.value, client_batch(row)) * len(row["items"])
+        def kernel(row, shared=shared, k=k):
+            if tasks:
+                return client_delta(net, shared.value, row, plan, k)
+            return -net.gradient(shared.value, client_batch(row)) * len(row["items"])
 
         chosen = packed.where(uniform(f"central-{seed}", F.lit(k), F.col("client_id")) < share)
         total, n, rows = R.summed_deltas(chosen, kernel, len(theta))
-        theta = theta - rate * total / max(1, rows)
+        theta = theta + rate * total / max(1, n if tasks else rows)
         shared.destroy()
-        costs.append({"round": k, "clients": n, "down_bytes": 0, "up_bytes": 0, "gradients": n, "ms": 0.0})
+        costs.append({"round": k, "clients": n, "down_bytes": 0, "up_bytes": 0, "gradients": n * (plan.epochs if tasks else 1), "ms": 0.0})
     packed.unpersist()
     return R.Model(prep, net, theta, costs)
 

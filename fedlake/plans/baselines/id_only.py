@@ -8,6 +8,6 @@ from fedlake.plans.client import LocalPlan
 from fedlake.sources.universes import Universe
 
 
-def fit(universe: Universe, rounds: int = 3, clients: int = 10, local: LocalPlan | None = None, width: int = 8) -> R.Model:
+def fit(universe: Universe, rounds: int = 3, clients: int = 10, local: LocalPlan | None = None, net: dict | None = None) -> R.Model:
     prep = D.prepare(universe, "ids")
-    return R.train_rounds(prep, R.build_net(prep, width), local or LocalPlan(), R.ServerPlan(rounds=rounds, clients=clients))
+    return R.train_rounds(prep, R.build_net(prep, **(net or {})), local or LocalPlan(), R.ServerPlan(rounds=rounds, clients=clients))

@@ -1,7 +1,8 @@
 """The evaluation's experiments on the given tables.
 
 Every function returns a DataFrame of results. Sizes default to a few rounds of
-a small network; ``FULL`` holds the published settings.
+a small network; ``published(name)`` gives the arguments of the published runs
+(``leaderboard(universe, **published("P"))``), which every function takes.
 """
 
 from __future__ import annotations
@@ -30,16 +31,23 @@ SWEEPS = {"rounds": (5, 20, 40, 60, 80, 100), "epochs": (5, 20, 40, 60, 80, 100,
 METHODS = ("metafed", "metafed_one_step", "central", "ncf", "fcf", "maml", "fomaml", "id_only", "fedgraph", "popularity", "random")
 
 
-def fit_ranks(method: str, prep: D.Prepared, rounds: int = 3, clients: int = 10, local: LocalPlan | None = None, width: int = 8) -> DataFrame:
-    """Ranks of the test users' positives under one method."""
-    local, net = local or LocalPlan(), R.build_net(prep, width)
+def published(name: str) -> dict:
+    """Rounds, clients, local plan and network of the published runs on a universe."""
+    own = FULL[name]
+    return {"rounds": own["rounds"], "clients": own["clients"], "local": LocalPlan(epochs=own["epochs"]), "net": {"width": FULL["width"], "hidden": FULL["hidden"], "act": FULL["act"]}}
+
+
+def fit_ranks(method: str, prep: D.Prepared, rounds: int = 3, clients: int = 10, local: LocalPlan | None = None, net: dict | None = None) -> DataFrame:
+    """Ranks of the test users' positives under one method; ``net``: width, hidden, act of the two-tower network."""
+    options = {"width": 8} | (net or {})
+    local, width, net = local or LocalPlan(), options["width"], R.build_net(prep, **options)
     server = R.ServerPlan(rounds=rounds, clients=clients)
     if method == "metafed":
         return R.train_rounds(prep, net, local, server).rank(epochs=local.epochs, rate=local.rate)
     if method == "metafed_one_step":
         return R.train_rounds(prep, net, replace(local, method="one_step"), server).rank(epochs=1, rate=local.rate)
     if method == "central":
-        return central.fit(prep, net, rounds).rank(epochs=local.epochs, rate=local.rate)
+        return central.fit(prep, net, rounds, local=local).rank(epochs=local.epochs, rate=local.rate)
     if method == "ncf":
         return ncf.fit(prep, rounds, width=width)
     if method == "fcf":
@@ -47,7 +55,7 @@ def fit_ranks(method: str, prep: D.Prepared, rounds: int = 3, clients: int = 10,
     if method in ("maml", "fomaml"):
         return maml.fit(prep, net, rounds, clients, order=2 if method == "maml" else 1).rank(epochs=1, rate=local.rate)
     if method == "id_only":
-        return id_only.fit(prep.universe, rounds, clients, local, width).rank(epochs=local.epochs, rate=local.rate)
+        return id_only.fit(prep.universe, rounds, clients, local, options).rank(epochs=local.epochs, rate=local.rate)
     if method == "fedgraph":
         return fedgraph.rank(prep, *fedgraph.fit(prep, rounds, clients))
     if method in ("popularity", "random"):
@@ -55,24 +63,31 @@ def fit_ranks(method: str, prep: D.Prepared, rounds: int = 3, clients: int = 10,
     raise ValueError(f"no method {method!r}")
 
 
-def leaderboard(universe: Universe, methods: tuple[str, ...] = METHODS, rounds: int = 3, clients: int = 10) -> DataFrame:
+def leaderboard(universe: Universe, methods: tuple[str, ...] = METHODS, rounds: int = 3, clients: int = 10, local: LocalPlan | None = None, net: dict | None = None) -> DataFrame:
     """(method, metric, k, value, users)."""
     prep, out = D.prepare(universe), None
     for m in methods:
-        one = metrics.summary(metrics.per_user(fit_ranks(m, prep, rounds, clients))).select(F.lit(m).alias("method"), "metric", "k", "value", "users")
+        one = metrics.summary(metrics.per_user(fit_ranks(m, prep, rounds, clients, local, net))).select(F.lit(m).alias("method"), "metric", "k", "value", "users")
         out = one if out is None else out.unionAll(one)
     return out
 
 
-def sweep(universe: Universe, param: str, grid: tuple[int, ...] | None = None, base: dict | None = None) -> DataFrame:
+def wide(board: DataFrame, universe: str) -> DataFrame:
+    """A leaderboard as the published tables show it: one row a method and metric, one column a k."""
+    ks = ",".join(f"at_{k}" for k in metrics.KS)
+    cells = [F.max(F.when(F.col("k") == k, F.col("value"))).alias(name) for k, name in zip(metrics.KS, ks.split(","), strict=True)]
+    return board.groupBy(F.lit(universe).alias("universe"), "method", "metric").agg(*cells, F.max("users").alias("users"))
+
+
+def sweep(universe: Universe, param: str, grid: tuple[int, ...] | None = None, base: dict | None = None, net: dict | None = None) -> DataFrame:
     """(param, value, hits20): one factor varied. All round counts come from one run with checkpoints."""
     prep = D.prepare(universe)
     spark, grid, rows = prep.items.sparkSession, grid or SWEEPS[param], []
     base = {"rounds": 3, "epochs": 2, "clients": 10} | (base or {})
-    net = R.build_net(prep)
+    net = R.build_net(prep, **(net or {}))
 
-    def hits(model: R.Model) -> float:
-        return metrics.per_user(model.rank(epochs=base["epochs"]), (20,)).agg(F.avg("hits")).first()[0] or 0.0
+    def hits(model: R.Model, epochs: int = base["epochs"]) -> float:
+        return metrics.per_user(model.rank(epochs=epochs), (20,)).agg(F.avg("hits")).first()[0] or 0.0
 
     if param == "rounds":
         model = R.train_rounds(prep, net, LocalPlan(epochs=base["epochs"]), R.ServerPlan(rounds=max(grid), clients=base["clients"], keep=tuple(grid)))
@@ -80,7 +95,7 @@ def sweep(universe: Universe, param: str, grid: tuple[int, ...] | None = None, b
     else:
         for v in grid:
             now = base | {param: v}
-            rows.append((param, int(v), hits(R.train_rounds(prep, net, LocalPlan(epochs=now["epochs"]), R.ServerPlan(rounds=now["rounds"], clients=now["clients"])))))
+            rows.append((param, int(v), hits(R.train_rounds(prep, net, LocalPlan(epochs=now["epochs"]), R.ServerPlan(rounds=now["rounds"], clients=now["clients"])), now["epochs"])))
     return spark.createDataFrame([(a, b, float(c)) for a, b, c in rows], "param string, value int, hits20 double")
 
 
@@ -96,11 +111,12 @@ def private_setup(spark, folder: str, name: str, universe: Universe, width: int
     return prep, pretrain.client_sequences(prep, rows, gap, ident), SequenceEncoder(prep.n_item_slots, width)
 
 
-def dp_ablation(spark, folder: str, universe: Universe, rounds: int = 2, clients: int = 10, z: float = 1.0, clip: float | None = None) -> DataFrame:
+def dp_ablation(spark, folder: str, universe: Universe, rounds: int = 2, clients: int = 10, z: float = 1.0, clip: float | None = None, local: LocalPlan | None = None, net: dict | None = None) -> DataFrame:
     """(method, metric, k, value, users, epsilon) of no noise, two stages, one stage and Laplace noise."""
-    prep, sequences, encoder = private_setup(spark, folder, universe.name, universe)
-    net, clip = R.build_net(prep), clip or universe.clip
-    plain, noisy = LocalPlan(), LocalPlan(clip=clip, lam_item=0.5, lam_segment=0.5)
+    options = {"width": 8} | (net or {})
+    prep, sequences, encoder = private_setup(spark, folder, universe.name, universe, options["width"])
+    net, clip, plain = R.build_net(prep, **options), clip or universe.clip, local or LocalPlan()
+    noisy = replace(plain, clip=clip, lam_item=0.5, lam_segment=0.5)
     server = R.ServerPlan(rounds=rounds, clients=clients)
     runs = {
         "metafed": lambda: R.train_rounds(prep, net, plain, server),
@@ -122,14 +138,15 @@ def privacy_table(spark, cells: list[tuple[int, int, float]], rounds: int = 1000
     return accountant.epsilon_grid(spark.createDataFrame([(n, m, d, float(rounds * (m if per_client else 1))) for n, m, d in cells], "n_clients int, m int, delta double, compositions double"))
 
 
-def budget_curve(universe: Universe, budgets: tuple[float, ...] = (2.0, 5.0, 15.0), rounds: int = 2, clients: int = 10, delta: float = 1e-6) -> DataFrame:
+def budget_curve(universe: Universe, budgets: tuple[float, ...] = (2.0, 5.0, 15.0), rounds: int = 2, clients: int = 10, delta: float = 1e-6, local: LocalPlan | None = None, net: dict | None = None) -> DataFrame:
     """(epsilon, z, hits20): the noise that meets each budget, and what it leaves."""
     prep = D.prepare(universe)
-    net, total = R.build_net(prep), D.splits(prep)[0].select("client_id").distinct().count()
+    net, total = R.build_net(prep, **(net or {})), D.splits(prep)[0].select("client_id").distinct().count()
+    bounded = replace(local or LocalPlan(), clip=1.0)
     rows = []
     for eps in budgets:
         z = accountant.solve(eps, delta, total, "z", size=clients, rounds=rounds)
-        model = R.train_rounds(prep, net, LocalPlan(clip=1.0), R.ServerPlan(rounds=rounds, clients=clients, noise="gaussian", z=z))
+        model = R.train_rounds(prep, net, bounded, R.ServerPlan(rounds=rounds, clients=clients, noise="gaussian", z=z))
         rows.append((eps, float(z), float(metrics.per_user(model.rank(), (20,)).agg(F.avg("hits")).first()[0] or 0.0)))
     return prep.items.sparkSession.createDataFrame(rows, "epsilon double, z double, hits20 double")
 
@@ -179,27 +196,39 @@ def kernel_time(net, batches: list, repeats: int = 5) -> dict[str, float]:
     return out
 
 
-def mia(universe: Universe, budgets: tuple[float, ...] = (5.0,), rounds: int = 2, clients: int = 5, delta: float = 1e-6) -> DataFrame:
-    """(target, epsilon, accuracy, users, used_share): attack on targets without noise, with Gaussian noise per budget, with Laplace noise."""
+#: Budgets of the published attack table; the largest is also tried with Laplace noise.
+ATTACK_BUDGETS = {"P": (2.0, 5.0, 15.0), "E": (5.0, 20.0, 40.0)}
+
+
+def mia(universe: Universe, budgets: tuple[float, ...] = (5.0,), rounds: int = 3, share: float = 0.6, delta: float = 1e-6, local: LocalPlan | None = None, net: dict | None = None) -> DataFrame:
+    """(target, epsilon, accuracy, users, member_share): attack on targets without noise, with Gaussian noise per budget, with Laplace noise at the largest.
+
+    Every round draws ``share`` of the users that a model may use, so that nearly
+    all of them take part; a user counts as a member if some round drew it.
+    """
     prep = D.prepare(universe)
-    net = R.build_net(prep)
+    net = R.build_net(prep, **(net or {}))
 
-    def fit(server: R.ServerPlan, local: LocalPlan):
-        return lambda rows: R.train_rounds(prep, net, local, server, rows)
+    def size(rows: DataFrame) -> int:
+        return max(1, int(share * rows.select("client_id").distinct().count()))
 
-    server, plain = R.ServerPlan(rounds=rounds, clients=clients), LocalPlan()
+    def fit(plan: LocalPlan, **noise):
+        return lambda rows: R.train_rounds(prep, net, plan, R.ServerPlan(rounds=rounds, clients=size(rows), **noise), rows)
+
+    plain = local or LocalPlan()
     split = A.shadow_split(prep.rows.select("client_id").distinct()).cache()
-    forest = A.fit_attack(A.train_shadow(prep, split, fit(server, plain)), split)
+    forest = A.fit_attack(A.train_shadow(prep, split, fit(plain)), split)
     half = prep.rows.join(split.where("part = 'private' and used").select("client_id"), "client_id", "left_semi")
     total = half.select("client_id").distinct().count()
-    targets = [("metafed", math.inf, server, plain)]
+    targets = [("metafed", math.inf, fit(plain))]
     for eps in budgets:
-        z = accountant.solve(eps, delta, total, "z", size=clients, rounds=rounds)
-        targets.append((f"metafed_dp_{eps:g}", eps, replace(server, noise="gaussian", z=z), replace(plain, clip=1.0)))
-        targets.append((f"metafed_laplace_{eps:g}", eps, replace(server, noise="laplace", z=z), replace(plain, clip=1.0, clip_norm="l1")))
+        z = accountant.solve(eps, delta, total, "z", size=size(half), rounds=rounds)
+        targets.append((f"metafed_dp_{eps:g}", eps, fit(replace(plain, clip=1.0), noise="gaussian", z=z)))
+        if eps == max(budgets):
+            targets.append((f"metafed_laplace_{eps:g}", eps, fit(replace(plain, clip=1.0), noise="laplace", z=z)))
     out = None
-    for name, eps, s, p in targets:
-        one = A.evaluate(forest, fit(s, p)(half), split).select(F.lit(name).alias("target"), F.lit(float(eps)).alias("epsilon"), "accuracy", "users", "used_share")
+    for name, eps, train in targets:
+        one = A.evaluate(forest, train(half), split).select(F.lit(name).alias("target"), F.lit(float(eps)).alias("epsilon"), "accuracy", "users", "member_share")
         out = one if out is None else out.unionAll(one)
     return out
 

@@ -81,14 +81,36 @@ def als_topk(spark, d):
     return fcf.central_als(_prepared(spark, d))
 
 
+@query("leaderboard")
+def leaderboard(spark, d):
+    """All methods on both universes, one column a k."""
+    boards = [X.wide(X.leaderboard(U.universe(spark, d, name), rounds=1, clients=5), name) for name in ("P", "E")]
+    return boards[0].unionAll(boards[1])
+
+
+@query("metafed_deep_metrics")
+def metafed_deep_metrics(spark, d):
+    """The published network (four hidden layers, sigmoid, width 64), one round."""
+    full = X.published("E")
+    found = X.fit_ranks("metafed", _prepared(spark, d, "E"), 1, 5, LocalPlan(epochs=5), full["net"])
+    return metrics.summary(metrics.per_user(found)).select(F.lit("metafed_deep").alias("model"), "metric", "k", "value", "users")
+
+
 @query("mia_accuracy")
 def mia_accuracy(spark, d):
-    return X.mia(U.universe(spark, d, "E"), (5.0,), ROUNDS, 5)
+    """Attack table on events: no noise, the published budgets, Laplace noise at the largest."""
+    return X.mia(U.universe(spark, d, "E"), X.ATTACK_BUDGETS["E"])
+
+
+@query("mia_accuracy_purchases")
+def mia_accuracy_purchases(spark, d):
+    return X.mia(U.universe(spark, d, "P"), X.ATTACK_BUDGETS["P"], 2)
 
 
 @query("round_times")
 def round_times(spark, d):
-    return X.round_time(U.universe(spark, d, "E"), (5,), 2)
+    """Time of a round by number of clients, first and second order."""
+    return X.round_time(U.universe(spark, d, "P"), (5, 10, 20), 3)
 
 
 @query("round_costs")
@@ -98,29 +120,39 @@ def round_costs(spark, d):
     return R.train_rounds(prep, R.build_net(prep), LocalPlan(), R.ServerPlan(rounds=ROUNDS, clients=5)).cost_frame()
 
 
-@query("sweep_rounds")
-def sweep_rounds(spark, d):
-    return X.sweep(U.universe(spark, d, "E"), "rounds", (1, 2), {"clients": 5})
-
+def _sweep(param: str, name: str, base: dict):
+    def run(spark, d):
+        return X.sweep(U.universe(spark, d, name), param, None, base)
 
-@query("sweep_epochs")
-def sweep_epochs(spark, d):
-    return X.sweep(U.universe(spark, d, "E"), "epochs", (1, 2), {"clients": 5, "rounds": 1})
+    run.__doc__ = f"The published grid of {param} on universe {name}."
+    return run
 
 
-@query("sweep_clients")
-def sweep_clients(spark, d):
-    return X.sweep(U.universe(spark, d, "E"), "clients", (2, 5), {"rounds": 1})
+for _name, _suffix in (("E", ""), ("P", "_purchases")):
+    query(f"sweep_rounds{_suffix}")(_sweep("rounds", _name, {"clients": 5, "epochs": 1}))
+    query(f"sweep_epochs{_suffix}")(_sweep("epochs", _name, {"clients": 5, "rounds": 1}))
+    query(f"sweep_clients{_suffix}")(_sweep("clients", _name, {"rounds": 1, "epochs": 1}))
 
 
 @query("dp_ablation")
 def dp_ablation(spark, d):
-    return X.dp_ablation(spark, d, U.universe(spark, d, "E"), 1, 5)
+    return X.dp_ablation(spark, d, U.universe(spark, d, "E"), 2, 5)
+
+
+@query("dp_ablation_purchases")
+def dp_ablation_purchases(spark, d):
+    return X.dp_ablation(spark, d, U.universe(spark, d, "P"), 1, 5)
 
 
 @query("budget_curve")
 def budget_curve(spark, d):
-    return X.budget_curve(U.universe(spark, d, "E"), (5.0, 15.0), 1, 5)
+    return X.budget_curve(U.universe(spark, d, "E"), X.ATTACK_BUDGETS["E"], 2, 5)
+
+
+@query("budget_curve_fit")
+def budget_curve_fit(spark, d):
+    """The logarithmic fit over measured points."""
+    return X.fit_curve(X.budget_curve(U.universe(spark, d, "P"), X.ATTACK_BUDGETS["P"], 1, 5))
 
 
 @query("inactive_users_hits")

@@ -222,7 +222,7 @@ def top_lists(model: Model, users: DataFrame, k: int = 10) -> DataFrame:
             lists, means = [], []
             for row in rows:
                 s = net.item_scores(theta, D.Bags.of([row["uf"]], [row["us"]]), items)
-                at = scoring.best(s, ids, k)
+                at = scoring.best_places(s, ids, k)
                 lists.append(ids[at])
                 means.append(float(s[at].mean()) if len(at) else 0.0)
             yield pa.RecordBatch.from_arrays([pa.array([r["client_id"] for r in rows], pa.int64()), pa.array(lists, pa.list_(pa.int64())), pa.array(means)], ["client_id", "items", "mean_score"])

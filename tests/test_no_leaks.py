@@ -69,4 +69,4 @@ def test_best_equals_a_sort():
     for _ in range(50):
         n, k = int(r.integers(1, 40)), int(r.integers(1, 12))
         scores, ids = r.integers(0, 6, n) / 6, r.permutation(n)
-        assert scoring.best(scores, ids, k).tolist() == np.lexsort((ids, -scores))[:k].tolist()
+        assert scoring.best_places(scores, ids, k).tolist() == np.lexsort((ids, -scores))[:k].tolist()

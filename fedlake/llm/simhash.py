@@ -1,14 +1,17 @@
 """SimHash near-duplicates through an inverted index over byte positions.
 
 Two 64-bit fingerprints within ``radius`` bits agree in at least
-``8 - radius`` of their eight byte positions. The index therefore posts each
-distinct fingerprint under every choice of that many positions with the bytes
-found there: a posting list holds exactly the fingerprints that reach the
-guaranteed number of shared positional bytes, without pairs below it ever being
-formed. Lists are bounded by construction (with radius 2, at most 65,536
-distinct values share six bytes). In a list the shared bytes of its pairs are
-tallied and the bit distance verified; long lists enumerate the few bit changes
-that the open bytes allow instead of all their pairs. Every list yields a
+``8 - radius`` of their eight byte positions. The positions form ``radius + 2``
+groups, of which such a pair shares two or more whole. The index posts each
+distinct fingerprint under every two groups with the bytes found there (six
+postings at radius 2). Inside a posting list the positional bytes that each pair
+shares are tallied over all eight positions; pairs that reach the guaranteed
+number are retained and their bit distance is verified. Lists are counted first:
+postings that meet no other go no further, and a list longer than ``DENSE_LIST``
+is never gathered but posted again under every choice of ``8 - radius`` positions
+that contains its own. Those lists are bounded (at most 65,536 distinct values
+share six bytes) and hold only pairs with the guaranteed number, so the longest of
+them enumerate the few bit changes that the open bytes allow. Every list yields a
 spanning forest of its links, not all pairs, and the components follow from a
 distributed star contraction.
 
@@ -30,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fedlake.llm.components import connected_components
@@ -38,7 +41,7 @@ from fedlake.llm.runtime import cut, fresh, slices, spread, utf8
 
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 SEED = 42
-#: Fingerprints of a list up to which all its pairs are compared at once.
+#: Fingerprints of a list up to which all its pairs are tallied at once.
 DENSE_LIST = 512
 #: Shingle hashes whose bits are counted at a time.
 BIT_ROWS = 1 << 16
@@ -81,23 +84,43 @@ def fingerprints(docs: DataFrame, width: int = 3) -> DataFrame:
     return rows.mapInArrow(run, "doc_id long, fp long")
 
 
-def _byte(position: int):
-    return F.shiftrightunsigned(F.col("fp"), 8 * position).bitwiseAND(F.lit(255))
+def _position_groups(radius: int) -> list[tuple[int, ...]]:
+    """The eight byte positions in ``radius + 2`` groups of about equal size: ``radius`` changed bytes leave two untouched."""
+    return [tuple(int(p) for p in g) for g in np.array_split(np.arange(8), radius + 2)]
 
 
-def _postings(distinct: DataFrame, radius: int) -> DataFrame:
-    """Each fingerprint under every set of positions that a pair within the radius may share."""
-    masks = []
-    for positions in combinations(range(8), 8 - radius):
+def _keys(choices: list[tuple[int, ...]]) -> Column:
+    """One key per choice of positions: the choice as a bit set, and the bytes found there."""
+    keys = []
+    for positions in choices:
         mask = sum(255 << (8 * p) for p in positions)
         signed = mask - (1 << 64) if mask >= 1 << 63 else mask
-        masks.append((len(masks), signed))
-    keys = F.array(*[F.struct(F.lit(k).cast("tinyint").alias("choice"), F.col("fp").bitwiseAND(F.lit(m)).alias("bytes")) for k, m in masks])
-    return distinct.select("fp", F.explode(keys).alias("key")).select("key.choice", "key.bytes", "fp")
+        keys.append(F.struct(F.lit(sum(1 << p for p in positions)).alias("choice"), F.col("fp").bitwiseAND(F.lit(signed)).alias("bytes")))
+    return F.array(*keys)
+
+
+def _posting_lists(distinct: DataFrame, radius: int) -> DataFrame:
+    """(fps) of at least two distinct fingerprints that share the bytes of a key; every pair within the radius is in some list."""
+    short = [a + b for a, b in combinations(_position_groups(radius), 2)]
+    postings = distinct.select("fp", F.explode(_keys(short)).alias("key")).select("key.choice", "key.bytes", "fp")
+    counted = cut(postings.groupBy("choice", "bytes").agg(F.count("*").alias("n")).where("n > 1"))
+    shared = postings.join(counted, ["choice", "bytes"])
+    light = shared.where(F.col("n") <= DENSE_LIST).groupBy("choice", "bytes").agg(F.collect_list("fp").alias("fps")).select("fps")
+    wide = list(combinations(range(8), 8 - radius))
+    again = F.lit(None)
+    for positions in short:
+        bits = sum(1 << p for p in positions)
+        again = F.when(F.col("choice") == bits, _keys([w for w in wide if set(positions) <= set(w)])).otherwise(again)
+    reposted = shared.where(F.col("n") > DENSE_LIST).select("fp", F.explode(again).alias("key")).select("key.choice", "key.bytes", "fp").distinct()
+    heavy = reposted.groupBy("choice", "bytes").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+    return light.unionAll(heavy)
 
 
 def list_links(values: np.ndarray, radius: int, shared: int) -> list[tuple[int, int]]:
-    """A spanning forest of the pairs of one posting list within ``radius`` bits, as index pairs."""
+    """A spanning forest of the pairs of one posting list within ``radius`` bits, as index pairs.
+
+    Lists above ``DENSE_LIST`` must share ``shared`` bytes throughout.
+    """
     n = len(values)
     root = list(range(n))
 
@@ -117,8 +140,9 @@ def list_links(values: np.ndarray, radius: int, shared: int) -> list[tuple[int,
                 out.append((a, b))
 
     if n <= DENSE_LIST:
-        rows = values.view(np.uint8).reshape(n, 8)
-        tally = (rows[:, None, :] == rows[None, :, :]).sum(axis=2)  # shared positional bytes of each pair
+        tally = np.zeros((n, n), np.uint8)  # shared positional bytes of each pair
+        for place in values.view(np.uint8).reshape(n, 8).T:
+            tally += place[:, None] == place[None, :]
         a, b = np.nonzero(np.triu(tally >= shared, 1))
         near = np.bitwise_count(values[a] ^ values[b]) <= radius
         join(zip(a[near].tolist(), b[near].tolist(), strict=True))
@@ -140,7 +164,8 @@ def fingerprint_links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     """Links (u, v) between distinct fingerprints; their components are those of all pairs within the radius."""
     if not 0 <= radius <= 4:
         raise ValueError("the index covers a radius of 0 to 4 bits")
-    lists = _postings(distinct, radius).groupBy("choice", "bytes").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select("fps")
+    lists = _posting_lists(distinct, radius)
+    shared = 8 - radius
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -150,11 +175,13 @@ def fingerprint_links(distinct: DataFrame, radius: int = 2) -> DataFrame:
             starts = np.r_[0, ends[:-1]]
             pairs = np.flatnonzero(ends - starts == 2)
             a, b = flat[starts[pairs]], flat[starts[pairs] + 1]
-            near = np.bitwise_count(a ^ b) <= radius
+            apart = a ^ b
+            tally = (apart.view(np.uint8).reshape(-1, 8) == 0).sum(axis=1)
+            near = (tally >= shared) & (np.bitwise_count(apart) <= radius)
             left, right = [a[near]], [b[near]]
             for k in np.flatnonzero(ends - starts > 2).tolist():
                 values = flat[starts[k] : ends[k]]
-                found = list_links(np.ascontiguousarray(values), radius, 8 - radius)
+                found = list_links(np.ascontiguousarray(values), radius, shared)
                 if found:
                     i, j = np.array(found).T
                     left.append(values[i])

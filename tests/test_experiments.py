@@ -73,3 +73,10 @@ def test_central_tasks_learn(spark, folder):
 def test_streams_end_in_files(name, spark, folder):
     first, again = (sorted(map(tuple, catalog.queries()[name](spark, folder).collect()), key=str) for _ in range(2))
     assert first and first == again
+
+
+def test_tuned_stream_covers_every_client(spark, folder):
+    rows = catalog.queries()["stream_tuning"](spark, folder).collect()
+    events = {r.user_id: r.n for r in spark.read.parquet(f"{folder}/events.parquet").groupBy("user_id").count().withColumnRenamed("count", "n").collect()}
+    assert {r.client_id: r.seen for r in rows} == events
+    assert any(r.w0 or r.w1 for r in rows)

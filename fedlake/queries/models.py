@@ -11,6 +11,7 @@ from fedlake.plans import data as D
 from fedlake.plans import experiments as X
 from fedlake.plans import pretrain
 from fedlake.plans import rounds as R
+from fedlake.plans import sharded as S
 from fedlake.plans.baselines import fcf
 from fedlake.plans.client import LocalPlan
 from fedlake.queries.registry import query
@@ -31,6 +32,14 @@ def metafed_metrics(spark, d):
     return model.summary().select(F.lit("metafed").alias("model"), "metric", "k", "value", "users")
 
 
+@query("metafed_sharded_metrics")
+def metafed_sharded_metrics(spark, d):
+    """The rounds with embedding rows kept in the cluster; only the dense layers are broadcast."""
+    prep = _prepared(spark, d)
+    model = S.train_sharded(prep, R.build_net(prep), LocalPlan(), R.ServerPlan(rounds=ROUNDS, clients=CLIENTS))
+    return model.dense().summary().select(F.lit("metafed_sharded").alias("model"), "metric", "k", "value", "users")
+
+
 @query("metafed_events_metrics")
 def metafed_events_metrics(spark, d):
     """The same on the events universe."""

@@ -1,9 +1,11 @@
 """Near copies by word shingles: sets of five-word shingles with a Jaccard similarity of 0.8 or more.
 
-Every text gets a min-hash signature; its bands are the positions of an inverted
-index. Texts that share a band meet in a posting list, where a pair is first
-filtered by the count of equal signature values and then verified on the exact
-shingle sets. At a similarity of 0.8 a pair shares no band with a probability of
+SimHash comes first: every text gets the fingerprint of its shingles, the index
+over byte positions of ``simhash`` links those within two bits, and what is linked
+is a list to verify. Similar pairs whose fingerprints are further apart, most at
+0.8, are added by an index over the bands of a min-hash signature. In a list of
+either kind a pair is first filtered by the count of equal signature values and
+then verified on the exact shingle sets. At a similarity of 0.8 a pair shares no band with a probability of
 about 3e-6 and falls under the count filter with one of about 1e-6; more similar
 pairs less often. Only verified pairs become links, so no text goes for a wrong one.
 
@@ -32,10 +34,12 @@ from pyspark.sql import functions as F
 
 from fedlake.llm.components import connected_components
 from fedlake.llm.runtime import cut, fresh, slices, spread, utf8
-from fedlake.llm.simhash import shingle_hashes
+from fedlake.llm.simhash import fingerprint, fingerprint_links, shingle_hashes
 
 WIDTH = 5
 SIMILARITY = 0.8
+#: Bits in which linked fingerprints differ at most.
+RADIUS = 2
 BANDS = 32
 ROWS = 5
 #: Equal signature values that a pair must reach: the expected 128 less five standard deviations.
@@ -54,7 +58,11 @@ _FACTOR = _RANDOM.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint32) | np.uint3
 
 def shingle_set(text: bytes) -> np.ndarray:
     """Hashes of the distinct shingles, ascending."""
-    return np.unique(np.array(shingle_hashes(text, WIDTH), np.uint64))
+    return _distinct(shingle_hashes(text, WIDTH))
+
+
+def _distinct(hashes: list[int]) -> np.ndarray:
+    return np.unique(np.array(hashes, np.uint64))
 
 
 def signature(shingles: np.ndarray) -> np.ndarray:
@@ -108,21 +116,31 @@ def _text_key(docs: DataFrame):
 
 
 def _prints(docs: DataFrame) -> DataFrame:
-    """(doc_id, text_key, node, size, keys) of each row."""
+    """(doc_id, text_key, node, fp, size, keys) of each row; fp is the fingerprint as a signed long."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches, "text"):
-            names, sizes, keys = [], [], []
+            names, fps, sizes, keys = [], [], [], []
             for text in utf8(part, "text"):
-                s = shingle_set(text)
+                hashes = shingle_hashes(text, WIDTH)
+                s = _distinct(hashes)
                 names.append(node(s))
+                fps.append(fingerprint(hashes))
                 sizes.append(len(s))
                 keys += band_keys(signature(s))
             ends = np.arange(len(names) + 1, dtype=np.int32) * BANDS
             held = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.array(keys, np.uint64).view(np.int64)))
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(names, pa.int64()), pa.array(sizes, pa.int64()), held], ["doc_id", "text_key", "node", "size", "keys"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_key"), pa.array(names, pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sizes, pa.int64()), held], ["doc_id", "text_key", "node", "fp", "size", "keys"])
+
+    return _text(docs).mapInArrow(run, "doc_id long, text_key long, node long, fp long, size long, keys array<long>")
+
 
-    return _text(docs).mapInArrow(run, "doc_id long, text_key long, node long, size long, keys array<long>")
+def _fingerprint_posts(prints: DataFrame) -> DataFrame:
+    """(key, node, size): every shingle set under the group of linked fingerprints of its texts."""
+    held = cut(prints.groupBy("node", "fp").agg(F.first("size").alias("size")))
+    reach = connected_components(fingerprint_links(spread(held.select("fp").distinct()), RADIUS)).withColumnRenamed("u", "fp")
+    grouped = held.join(reach, "fp", "left").select(F.xxhash64(F.lit("fingerprints"), F.coalesce("root", "fp")).alias("key"), "node", "size")
+    return grouped.distinct()
 
 
 def _sets(docs: DataFrame) -> DataFrame:
@@ -192,7 +210,7 @@ def near_groups(docs: DataFrame) -> DataFrame:
     docs = docs.where("doc_id is not null")
     prints = cut(_prints(docs))
     distinct = cut(prints.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("keys").alias("keys")))
-    posts = spread(distinct.select("node", "size", "keys")).select(F.explode("keys").alias("key"), "node", "size").repartition("key")  # counted and joined where it lies
+    posts = spread(distinct.select("node", "size", "keys")).select(F.explode("keys").alias("key"), "node", "size").unionByName(_fingerprint_posts(prints)).repartition("key")  # counted and joined where it lies
     counts = posts.groupBy("key").agg(F.count("*").alias("n"), F.sum("size").alias("s")).where("n > 1")
     met = cut(posts.join(counts.select("key", _parts(F.col("n"), F.col("s")).alias("parts")), "key"))
     dealt = met.groupBy("key", F.pmod(F.xxhash64("node", "key"), F.col("parts")).alias("part")).agg(F.sort_array(F.collect_set("node")).alias("nodes"))

@@ -75,3 +75,20 @@ def test_texts_of_one_id_stand_for_themselves(spark):
     got = sorted(((r.doc_id, r.text) for r in kept.collect()), key=str)
     assert got == sorted([(1, "alpha beta gamma"), (1, "other words here"), (None, "alpha beta gamma"), (None, None), (3, None)], key=str)
     assert near_copies.one_per_group(docs.limit(0)).count() == 0
+
+
+def test_linked_fingerprints_meet(spark):
+    r = np.random.default_rng(11)
+    texts = []
+    for _ in range(12):
+        words = [f"w{x}" for x in r.integers(0, 9000, 900)]
+        for k in range(4):
+            texts.append(" ".join([*words, *[f"x{x}" for x in r.integers(0, 1 << 30, k)]]))
+    prints = [simhash.fingerprint(simhash.shingle_hashes(t.encode(), near_copies.WIDTH)) for t in texts]
+    near = [(i, j) for i in range(len(texts)) for j in range(i) if (prints[i] ^ prints[j]).bit_count() <= 2]
+    assert len(near) > 10
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    keys = {x.node: x.key for x in near_copies._fingerprint_posts(near_copies._prints(docs)).collect()}
+    node = [near_copies.node(near_copies.shingle_set(t.encode())) for t in texts]
+    assert all(keys[node[i]] == keys[node[j]] for i, j in near)
+    assert len(set(keys.values())) < len(set(node))

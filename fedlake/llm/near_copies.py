@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fedlake.llm.components import connected_components
-from fedlake.llm.runtime import cut, fresh, slices, spread, utf8
+from fedlake.llm.runtime import cut_free, fresh, slices, spread, utf8
 from fedlake.llm.simhash import fingerprint, fingerprint_links, shingle_hashes
 
 WIDTH = 5
@@ -137,7 +137,7 @@ def _prints(docs: DataFrame) -> DataFrame:
 
 def _fingerprint_posts(prints: DataFrame) -> DataFrame:
     """(key, node, size): every shingle set under the group of linked fingerprints of its texts."""
-    held = cut(prints.groupBy("node", "fp").agg(F.first("size").alias("size")))
+    held = cut_free(prints.groupBy("node", "fp").agg(F.first("size").alias("size")))
     reach = connected_components(fingerprint_links(spread(held.select("fp").distinct()), RADIUS)).withColumnRenamed("u", "fp")
     grouped = held.join(reach, "fp", "left").select(F.xxhash64(F.lit("fingerprints"), F.coalesce("root", "fp")).alias("key"), "node", "size")
     return grouped.distinct()
@@ -208,19 +208,19 @@ def near_groups(docs: DataFrame) -> DataFrame:
     text_key that stands for the group.
     """
     docs = docs.where("doc_id is not null")
-    prints = cut(_prints(docs))
-    distinct = cut(prints.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("keys").alias("keys")))
+    prints = cut_free(_prints(docs))
+    distinct = cut_free(prints.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("keys").alias("keys")))
     posts = spread(distinct.select("node", "size", "keys")).select(F.explode("keys").alias("key"), "node", "size").unionByName(_fingerprint_posts(prints)).repartition("key")  # counted and joined where it lies
     counts = posts.groupBy("key").agg(F.count("*").alias("n"), F.sum("size").alias("s")).where("n > 1")
-    met = cut(posts.join(counts.select("key", _parts(F.col("n"), F.col("s")).alias("parts")), "key"))
+    met = cut_free(posts.join(counts.select("key", _parts(F.col("n"), F.col("s")).alias("parts")), "key"))
     dealt = met.groupBy("key", F.pmod(F.xxhash64("node", "key"), F.col("parts")).alias("part")).agg(F.sort_array(F.collect_set("node")).alias("nodes"))
-    lists = cut(dealt.where(F.size("nodes") > 1).select("nodes").distinct().select(F.xxhash64("nodes").alias("list"), F.explode("nodes").alias("node")).withColumn("group", F.col("node")))
-    wanted = cut(met.select("node").distinct().join(distinct.select("node", "first"), "node").select(F.col("first.doc_id").alias("w_doc"), F.col("first.text_key").alias("w_text")))
+    lists = cut_free(dealt.where(F.size("nodes") > 1).select("nodes").distinct().select(F.xxhash64("nodes").alias("list"), F.explode("nodes").alias("node")).withColumn("group", F.col("node")))
+    wanted = cut_free(met.select("node").distinct().join(distinct.select("node", "first"), "node").select(F.col("first.doc_id").alias("w_doc"), F.col("first.text_key").alias("w_text")))
     chosen = _text(docs)
-    sets = cut(_sets(chosen.join(_sized(wanted), (F.col("doc_id") == F.col("w_doc")) & (F.col("text_key") == F.col("w_text")), "left_semi")).dropDuplicates(["node"]))
-    links = cut(_verified(_gathered(lists, sets, ["list"])))
+    sets = cut_free(_sets(chosen.join(_sized(wanted), (F.col("doc_id") == F.col("w_doc")) & (F.col("text_key") == F.col("w_text")), "left_semi")).dropDuplicates(["node"]))
+    links = cut_free(_verified(_gathered(lists, sets, ["list"])))
     reach = connected_components(links).select(F.col("u").alias("node"), "root")
-    more = cut(_verified(_across(met, reach, sets)))
+    more = cut_free(_verified(_across(met, reach, sets)))
     if more.limit(1).count():
         reach = connected_components(links.unionAll(more)).select(F.col("u").alias("node"), "root")
     placed = distinct.join(reach, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "first")
@@ -238,7 +238,7 @@ def one_per_group(docs: DataFrame) -> DataFrame:
     doc, key = (fresh(n, docs.columns) for n in ("doc", "key"))
     mine = F.struct("doc_id", "text_key") == F.col("first")
     rows = near_groups(docs.select("doc_id", "text")).groupBy(F.col("doc_id").alias(doc), F.col("text_key").alias(key)).agg(F.max(mine).alias("kept"), F.count("*").alias("n"))
-    rows = cut(rows.where("not kept or n > 1"))
+    rows = cut_free(rows.where("not kept or n > 1"))
     same = (docs["doc_id"].cast("long") == F.col(doc)) & (_text_key(docs) == F.col(key))
     once = docs.join(_sized(rows.select(doc, key)), same, "left_anti")
     again = rows.where("kept").select(doc, key)

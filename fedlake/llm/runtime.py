@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import tempfile
 from collections.abc import Iterator
 from functools import cache
@@ -37,6 +38,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_free(df: DataFrame) -> DataFrame:
+    """``cut``, after which the shuffle files behind the table go: the engine keeps them until the driver happens to collect its garbage."""
+    out = cut(df)
+    del df
+    gc.collect()
+    out.sparkSession.sparkContext._jvm.System.gc()
+    return out
+
+
 def spread(df: DataFrame) -> DataFrame:
     """Short rows over as many partitions as a shuffle has, before they multiply."""
     return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *df.columns[:1])

@@ -1,5 +1,7 @@
 """The corpus' near copies: five-word shingles, similarity 0.8, whatever the distance of three-word fingerprints."""
 
+import time
+
 import numpy as np
 
 import corpus_pipeline
@@ -92,3 +94,22 @@ def test_linked_fingerprints_meet(spark):
     node = [near_copies.node(near_copies.shingle_set(t.encode())) for t in texts]
     assert all(keys[node[i]] == keys[node[j]] for i, j in near)
     assert len(set(keys.values())) < len(set(node))
+
+
+def test_shuffle_files_go_while_the_stage_runs(spark):
+    """What a materialised table was made from is freed at once, not when the driver happens to collect its garbage."""
+    disk = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+
+    def held() -> set:
+        files = disk.getAllFiles()
+        return {n for n in (files.apply(k).getName() for k in range(files.size())) if n.startswith("shuffle_")}
+
+    before = held()
+    docs = spark.createDataFrame(list(enumerate(_texts())), "doc_id long, text string").repartition(4)
+    groups = near_copies.near_groups(docs)
+    for _ in range(50):
+        if len(held() - before) < 60:
+            break
+        time.sleep(0.2)
+    assert len(held() - before) < 60
+    assert groups.count() == len(_texts())

@@ -30,18 +30,19 @@ by bytes; an empty table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from itertools import chain
+from math import prod
 from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, one_blas_thread, slices, utf8
+from fedlake.llm.runtime import CACHE_WORDS, CHUNK_BYTES, cut, one_blas_thread, slices
 
 CLASS = 64
 CLASSES = 64
@@ -64,11 +65,32 @@ ABSENT = TOKENS
 END = 10
 
 
+class Room(dict):
+    """Named arrays used again from batch to batch: the pages of a fresh one cost more than most of what is computed into it."""
+
+    def __call__(self, name: str, shape: tuple[int, ...], dtype: np.dtype) -> np.ndarray:
+        size, held = prod(shape), self.get(name)
+        if held is None or held.size < size or held.dtype != dtype:
+            held = self[name] = np.empty(size, dtype)
+        return held[:size].reshape(shape)
+
+    def __reduce__(self):
+        return Room, ()
+
+    def product(self, name: str, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return np.matmul(a, b, out=self(name, (len(a), b.shape[1]), a.dtype))
+
+    def rows(self, name: str, table: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """The table's rows at these places, all of which it has (``clip`` spares a buffer)."""
+        return table.take(at, axis=0, out=self(name, (len(at), *table.shape[1:]), table.dtype), mode="clip")
+
+
 @dataclass
 class WindowNet:
     """Parameters by name; ``flat`` and ``load`` move them as one vector."""
 
     parts: dict[str, np.ndarray] = field(default_factory=dict)
+    room: Room = field(default_factory=Room, repr=False, compare=False)
 
     @classmethod
     def start(cls, frequency: np.ndarray, seed: int = SEED) -> WindowNet:
@@ -100,22 +122,32 @@ class WindowNet:
         return WindowNet(out)
 
     def forward(self, context: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(window embeddings, hidden values), valid until the next call."""
         p = self.parts
-        seen = p["embed"].take(context.ravel(), axis=0).reshape(len(context), -1)
-        return seen, np.tanh(seen @ p["hidden"] + p["hidden_bias"])
+        seen = self.room.rows("seen", p["embed"], context.ravel()).reshape(len(context), -1)
+        h = self.room.product("h", seen, p["hidden"])
+        h += p["hidden_bias"]
+        return seen, np.tanh(h, out=h)
+
+    def logits(self, h: np.ndarray, cls: np.ndarray, spans: list[tuple[int, slice]]) -> tuple[np.ndarray, np.ndarray]:
+        """(of the classes, of the tokens in each row's class), valid until the next call."""
+        p = self.parts
+        classes, tokens = self.room.product("classes", h, p["class"]), self.room.rows("tokens", p["token_bias"], cls)
+        classes += p["class_bias"]
+        for c, rows in spans:
+            tokens[rows] += h[rows] @ p["token"][c]
+        return classes, tokens
 
     def log_probs(self, context: np.ndarray, target: np.ndarray) -> np.ndarray:
         """log P(target | both sides) of each row."""
-        p, safe = self.parts, self.bounded
+        safe = self.bounded
         order = np.argsort((target // CLASS).astype(np.uint8), kind="stable")  # a class is then a slice
         target = target[order]
         cls = target // CLASS
         _, h = self.forward(context.take(order, axis=0))
-        logits = p["token_bias"].take(cls, axis=0)
-        for c, rows in _spans(cls):
-            logits[rows] += h[rows] @ p["token"][c]
+        classes, tokens = self.logits(h, cls, _spans(cls))
         out = np.empty(len(target), h.dtype)
-        out[order] = _log_softmax(h @ p["class"] + p["class_bias"], cls, safe) + _log_softmax(logits, target % CLASS, safe)
+        out[order] = _log_softmax(classes, cls, safe) + _log_softmax(tokens, target % CLASS, safe)
         return out
 
     @property
@@ -126,35 +158,42 @@ class WindowNet:
         return bool(most < 70)
 
     def gradients(self, context: np.ndarray, target: np.ndarray) -> dict[str, np.ndarray]:
-        """Of the mean negative log-probability."""
-        p, safe, n = self.parts, self.bounded, len(target)
+        """Of the mean negative log-probability; valid until the next call."""
+        p, safe, n, room = self.parts, self.bounded, len(target), self.room
+        g = {k: room("d " + k, v.shape, v.dtype) for k, v in p.items()}
         order = np.argsort((target // CLASS).astype(np.uint8), kind="stable")  # a class is then a slice
         context, target = context.take(order, axis=0), target[order]
         cls = target // CLASS
-        seen, h = self.forward(context)
-        d = _softmax_error(h @ p["class"] + p["class_bias"], cls, n, safe)
-        g = {"class": h.T @ d, "class_bias": d.sum(axis=0)}
-        back = d @ p["class"].T
         spans = _spans(cls)
-        logits = p["token_bias"].take(cls, axis=0)
-        for c, rows in spans:
-            logits[rows] += h[rows] @ p["token"][c]
-        d = _softmax_error(logits, target % CLASS, n, safe)
-        g["token"], g["token_bias"] = np.zeros_like(p["token"]), np.zeros_like(p["token_bias"])
+        seen, h = self.forward(context)
+        classes, tokens = self.logits(h, cls, spans)
+        one = np.ones(n, h.dtype)
+        d = _softmax_error(classes, cls, n, safe)
+        np.matmul(h.T, d, out=g["class"])
+        np.matmul(one, d, out=g["class_bias"])
+        back = room.product("back", d, p["class"].T)
+        d = _softmax_error(tokens, target % CLASS, n, safe)
+        g["token"].fill(0)
+        g["token_bias"].fill(0)
         for c, rows in spans:
-            np.matmul(h[rows].T, d[rows], out=g["token"][c])
-            back[rows] += d[rows] @ p["token"][c].T
-        g["token_bias"][[c for c, _ in spans]] = np.add.reduceat(d, [rows.start for _, rows in spans], axis=0)
-        back *= 1 - h * h
-        g["hidden"], g["hidden_bias"] = seen.T @ back, back.sum(axis=0)
-        into = (back @ p["hidden"].T).reshape(-1, WIDTH)
+            mine = d[rows]
+            np.matmul(h[rows].T, mine, out=g["token"][c])
+            np.matmul(one[rows], mine, out=g["token_bias"][c])
+            back[rows] += mine @ p["token"][c].T
+        np.multiply(h, h, out=h)
+        back *= np.subtract(1, h, out=h)
+        np.matmul(seen.T, back, out=g["hidden"])
+        np.matmul(one, back, out=g["hidden_bias"])
+        into = room.product("into", back, p["hidden"].T).reshape(-1, WIDTH)
         key = context.ravel().astype(np.uint16)
         order = np.argsort(key, kind="stable")  # by radix
         key = key[order]
         starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-        g["embed"] = np.zeros_like(p["embed"])
-        g["embed"][key[starts]] = np.add.reduceat(into.take(order, axis=0), starts, axis=0)
-        return {k: g[k] for k in p}
+        g["embed"].fill(0)
+        ordered = room.rows("ordered", into, order)
+        pairs = ordered.view(np.result_type(ordered.dtype, np.complex64))  # two components an addition
+        g["embed"][key[starts]] = np.add.reduceat(pairs, starts, axis=0).view(ordered.dtype)
+        return g
 
 
 def _spans(cls: np.ndarray) -> list[tuple[int, slice]]:
@@ -164,11 +203,10 @@ def _spans(cls: np.ndarray) -> list[tuple[int, slice]]:
 
 
 def _log_softmax(logits: np.ndarray, at: np.ndarray, bounded: bool = False) -> np.ndarray:
-    """Log-probability of one column per row; ``bounded`` logits can't overflow and need no shift."""
-    picked = logits[np.arange(len(at)), at]
+    """Log-probability of one column per row; ``bounded`` logits can't overflow and need no shift. The logits are used up."""
     if not bounded:
-        top = logits.max(axis=1)
-        logits, picked = logits - top[:, None], picked - top
+        logits -= logits.max(axis=1)[:, None]
+    picked = logits[np.arange(len(at)), at]
     np.exp(logits, out=logits)
     return picked - np.log(logits @ np.ones(logits.shape[1], logits.dtype))
 
@@ -178,9 +216,8 @@ def _softmax_error(logits: np.ndarray, at: np.ndarray, n: int, bounded: bool) ->
     if not bounded:
         logits -= logits.max(axis=1)[:, None]
     np.exp(logits, out=logits)
-    logits *= (1 / (logits @ np.ones(logits.shape[1], logits.dtype)))[:, None]
-    logits[np.arange(len(at)), at] -= 1
-    logits *= logits.dtype.type(1 / n)
+    logits *= (logits.dtype.type(1 / n) / (logits @ np.ones(logits.shape[1], logits.dtype)))[:, None]
+    logits[np.arange(len(at)), at] -= logits.dtype.type(1 / n)
     return logits
 
 
@@ -194,7 +231,7 @@ class Trainer:
     def step(self, context: np.ndarray, target: np.ndarray) -> None:
         for k, g in self.net.gradients(context, target).items():
             s = self.square[k]
-            move = g * g
+            move = np.multiply(g, g, out=self.net.room("move", g.shape, g.dtype))
             s += move
             np.divide(g, np.sqrt(s, out=move), out=move)
             move *= self.rate
@@ -216,55 +253,22 @@ class TokenIds(dict):
         return token
 
 
-class WordRows(dict):
-    """Words to rows of two arrays for one Python worker: the token, and the spelling's log-probability.
-
-    Words not seen yet get the next rows; the table is emptied between slices
-    when it holds many words or bytes.
-    """
-
-    def __init__(self, named: list[bytes], pairs: np.ndarray | None = None, limit: int = 2 * CACHE_WORDS, limit_bytes: int = 1 << 25):
-        super().__init__()
-        self.named, self.pairs, self.limit, self.limit_bytes = named, None if pairs is None else pairs.ravel(), limit, limit_bytes
-        self.empty()
-
-    def empty(self) -> None:
-        self.clear()
-        self.update((w, k) for k, w in enumerate(self.named))
-        self[None] = len(self.named)  # stands between texts
-        self.new: list[bytes] = []
-        self.bytes = 0
-        self.tokens = np.r_[np.arange(len(self.named)), ABSENT].astype(np.int32)
-        self.spelled = np.zeros(len(self.tokens))
-
-    def __missing__(self, word: bytes) -> int:
-        row = self[word] = len(self)
-        self.new.append(word)
-        return row
-
-    def rows(self, words: list[bytes | None]) -> np.ndarray:
-        if len(self) > self.limit or self.bytes > self.limit_bytes:
-            self.empty()
-        out = np.fromiter(map(self.__getitem__, words), np.int32, len(words))
-        new, self.new = self.new, []
-        if new:
-            self.bytes += sum(map(len, new))
-            self.tokens = np.r_[self.tokens, np.fromiter((bucket(w) for w in new), np.int32, len(new))]
-            self.spelled = np.r_[self.spelled, np.zeros(len(new)) if self.pairs is None else spell(new, self.pairs)]
-        return out
-
-
 def bucket(word: bytes) -> int:
     """The token of a word without a name."""
     return NAMED + crc32(word) % (TOKENS - NAMED)
 
 
+def buckets(words: list[bytes]) -> np.ndarray:
+    """``bucket`` of each word."""
+    return NAMED + np.fromiter(map(crc32, words), np.int64, len(words)) % (TOKENS - NAMED)
+
+
 def spell(words: list[bytes], pairs: np.ndarray) -> np.ndarray:
     """Log-probability of each word's bytes up to its end; pairs: flat, 256 by 256."""
     end = bytes([END])
     raw = np.frombuffer(end + end.join(words) + end, np.uint8).astype(np.int32)
-    owner = np.repeat(np.arange(len(words)), [len(w) + 1 for w in words])
-    return np.bincount(owner, pairs[raw[:-1] * 256 + raw[1:]], len(words))
+    starts = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+    return np.add.reduceat(pairs.take(raw[:-1] * 256 + raw[1:]), np.r_[0, starts[:-1]])
 
 
 def stream(texts: list[bytes]) -> tuple[list[bytes | None], np.ndarray]:
@@ -279,12 +283,9 @@ def places(sizes: np.ndarray) -> np.ndarray:
     return np.repeat(starts - np.r_[0, np.cumsum(sizes)[:-1]], sizes) + np.arange(int(sizes.sum())) if len(sizes) else sizes
 
 
-def lay_out(ids: WordRows | TokenIds, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def lay_out(ids: TokenIds, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(flat ids with absent neighbours around every text, positions of tokens, tokens per text)."""
     words, sizes = stream(texts)
-    if isinstance(ids, WordRows):
-        rows = ids.rows(words)  # may lengthen ids.tokens
-        return ids.tokens[rows], places(sizes), sizes
     return np.fromiter(map(ids.__getitem__, words), np.int32, len(words)), places(sizes), sizes
 
 
@@ -293,7 +294,7 @@ def target_places(at: np.ndarray, residue: int, stride: int) -> np.ndarray:
     return at[np.arange(len(at)) // RUN % stride == residue] if stride > 1 else at
 
 
-def training_rows(ids: WordRows | TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
+def training_rows(ids: TokenIds, texts: list[bytes], residue: int, stride: int) -> tuple[np.ndarray, np.ndarray]:
     """(contexts, targets) of one round."""
     flat, at, _ = lay_out(ids, texts)
     return windows(flat, target_places(at, residue, stride))
@@ -313,19 +314,30 @@ def shuffled(at: np.ndarray, rng: np.random.Generator) -> np.ndarray:
 OFFSETS = np.array([k for k in range(-WINDOW, WINDOW + 1) if k])
 
 
+def split_words(part: pa.RecordBatch) -> pa.Array:
+    """The texts' pieces between ASCII white space, a list a text, by the same white space as ``bytes.split``; outer white space leaves empty pieces, which are no words."""
+    return pc.ascii_split_whitespace(pc.fill_null(part.column("text"), ""))
+
+
+def tally(counts: pa.Table) -> pa.Table:
+    """(word, n) with the counts of equal words summed."""
+    return counts.group_by("word", use_threads=False).aggregate([("n", "sum")]).rename_columns(["word", "n"])
+
+
 def counted_words(docs: DataFrame) -> DataFrame:
     """(word, n) of all documents: exact counts, summed per split first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter = Counter()
-        as_batch = lambda: pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], ["word", "n"])
-        for part in slices(batches, "text"):
-            for text in utf8(part, "text"):
-                counts.update(text.split())
-            if len(counts) > 400_000:
-                yield as_batch()
-                counts.clear()
-        yield as_batch()
+        held: list[pa.Table] = []
+        for part in slices(batches, "text", 4 * CHUNK_BYTES):
+            word, n = split_words(part).flatten().value_counts().flatten()
+            held.append(pa.table({"word": word.cast(pa.binary()), "n": n}).filter(pc.greater(pc.binary_length(word), 0)))
+            if sum(t.num_rows for t in held) > 400_000:
+                held = [tally(pa.concat_tables(held))]
+            if held[0].num_rows > 400_000:
+                yield from held.pop().combine_chunks().to_batches()
+        if held:
+            yield from tally(pa.concat_tables(held)).combine_chunks().to_batches()
 
     return cut(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")))
 
@@ -397,13 +409,26 @@ def code(docs: DataFrame, named: list[bytes], pairs: np.ndarray | None = None) -
     shared = docs.sparkSession.sparkContext.broadcast((named, pairs))  # fixed sizes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = WordRows(*shared.value)
-        for part in slices(batches, "text"):
-            words = [t.split() for t in utf8(part, "text")]
-            sizes = np.fromiter(map(len, words), np.int64, len(words))
-            rows = table.rows(list(chain.from_iterable(words)))
+        named, pairs = shared.value
+        known = pa.array(named, pa.binary())
+        for part in slices(batches, "text", 4 * CHUNK_BYTES):
+            words = split_words(part)
+            sizes, pieces = np.asarray(pc.list_value_length(words)).astype(np.int64), words.flatten().dictionary_encode()
+            distinct, at = pieces.dictionary.cast(pa.binary()), np.asarray(pieces.indices)
+            token = np.asarray(pc.fill_null(pc.index_in(distinct, known), -1)).astype(np.int32)
+            spelled = np.zeros(len(token))
+            rare = np.flatnonzero(token < 0)
+            if len(rare):
+                texts = distinct.take(pa.array(rare)).to_pylist()
+                token[rare] = buckets(texts)
+                spelled[rare] = 0 if pairs is None else spell(texts, pairs.ravel())
+            empty = np.asarray(pc.equal(pc.binary_length(distinct), 0))
+            if empty.any():
+                word = ~empty[at]
+                sizes = np.diff(np.r_[0, np.cumsum(word)][np.r_[0, np.cumsum(sizes)]])
+                at = at[word]
             ends = np.cumsum(sizes)
-            tokens, spelled = table.tokens[rows].astype("<u2"), np.r_[0.0, np.cumsum(table.spelled[rows])]
+            tokens, spelled = token[at].astype("<u2"), np.r_[0.0, np.cumsum(spelled[at])]
             cells = [tokens[b - n : b].tobytes() for b, n in zip(ends.tolist(), sizes.tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(cells, pa.binary()), pa.array(spelled[ends] - spelled[ends - sizes])], ["doc_id", "tokens", "spelled"])
 

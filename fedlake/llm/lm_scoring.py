@@ -329,13 +329,14 @@ def counted_words(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.Table] = []
-        for part in slices(batches, "text", 4 * CHUNK_BYTES):
+        for part in slices(batches, "text", 2 * CHUNK_BYTES):
             word, n = split_words(part).flatten().value_counts().flatten()
             held.append(pa.table({"word": word.cast(pa.binary()), "n": n}).filter(pc.greater(pc.binary_length(word), 0)))
             if sum(t.num_rows for t in held) > 400_000:
                 held = [tally(pa.concat_tables(held))]
             if held[0].num_rows > 400_000:
                 yield from held.pop().combine_chunks().to_batches()
+            pa.default_memory_pool().release_unused()  # workers live on into the next stages
         if held:
             yield from tally(pa.concat_tables(held)).combine_chunks().to_batches()
 
@@ -411,7 +412,7 @@ def code(docs: DataFrame, named: list[bytes], pairs: np.ndarray | None = None) -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         named, pairs = shared.value
         known = pa.array(named, pa.binary())
-        for part in slices(batches, "text", 4 * CHUNK_BYTES):
+        for part in slices(batches, "text", 2 * CHUNK_BYTES):
             words = split_words(part)
             sizes, pieces = np.asarray(pc.list_value_length(words)).astype(np.int64), words.flatten().dictionary_encode()
             distinct, at = pieces.dictionary.cast(pa.binary()), np.asarray(pieces.indices)
@@ -431,6 +432,7 @@ def code(docs: DataFrame, named: list[bytes], pairs: np.ndarray | None = None) -
             tokens, spelled = token[at].astype("<u2"), np.r_[0.0, np.cumsum(spelled[at])]
             cells = [tokens[b - n : b].tobytes() for b, n in zip(ends.tolist(), sizes.tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(cells, pa.binary()), pa.array(spelled[ends] - spelled[ends - sizes])], ["doc_id", "tokens", "spelled"])
+            pa.default_memory_pool().release_unused()  # workers live on into the next stages
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, tokens binary, spelled double")

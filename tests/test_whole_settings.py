@@ -35,3 +35,20 @@ def test_id_only_trains_whole(asked, spark, folder):
     full = X.published("P")
     assert (server.rounds, server.clients, local.epochs) == (80, 20, 100) and local == full["local"]
     assert (net.width, net.hidden, net.act) == (64, (128, 64, 32, 16), "sigmoid")
+
+
+def test_ablation_trains_whole(asked, monkeypatch, spark, folder):
+    net, local, server = asked("dp_ablation_purchases", spark, folder)
+    assert (server.rounds, server.clients, local.epochs, net.width, net.hidden) == (80, 20, 100, 64, (128, 64, 32, 16))
+
+    stages, tuned = [], []
+    monkeypatch.setattr(R, "train_rounds", lambda prep, net, local, server, *rest, **named: R.Model(prep, net, net.start()))
+
+    def items(prep, encoder, sequences, rounds, clients, epochs, **named):
+        stages.append((rounds, clients, epochs))
+        return encoder.start(), []
+
+    monkeypatch.setattr(X.pretrain, "fit_items", items)
+    monkeypatch.setattr(R.Model, "rank", lambda self, test=None, epochs=2, rate=0.05, most=None: tuned.append(epochs) or X.popularity.random(self.prep))
+    catalog.queries()["dp_ablation_purchases"](spark, folder)
+    assert stages == [(80, 20, 100)] and tuned == [100] * 4

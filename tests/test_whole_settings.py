@@ -37,6 +37,20 @@ def test_id_only_trains_whole(asked, spark, folder):
     assert (net.width, net.hidden, net.act) == (64, (128, 64, 32, 16), "sigmoid")
 
 
+def test_leaderboard_fits_whole(monkeypatch, spark, folder):
+    seen = []
+
+    def fit(method, prep, *settings):
+        seen.append((prep.universe.name, method, settings))
+        return X.popularity.random(prep)
+
+    monkeypatch.setattr(X, "fit_ranks", fit)
+    catalog.queries()["leaderboard"](spark, folder)
+    full = {name: tuple(X.published(name).values()) for name in ("P", "E")}
+    assert [x[:2] for x in seen] == [(name, m) for name in ("P", "E") for m in X.METHODS]
+    assert all(settings == full[name] for name, _, settings in seen)
+
+
 def test_ablation_trains_whole(asked, monkeypatch, spark, folder):
     net, local, server = asked("dp_ablation_purchases", spark, folder)
     assert (server.rounds, server.clients, local.epochs, net.width, net.hidden) == (80, 20, 100, 64, (128, 64, 32, 16))
